@@ -26,9 +26,49 @@ def op3_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wsig.llm.mixing import mix_sources
+
+    out = mix_sources(_table(spark, sf_dir, "documents"))
+    return out.select("doc_id", "size", "source_size", "target", "taken", "source", "copies", "position")
+
+
+def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wsig.llm.url_filter import LISTED, url_filter
+
+    listed = spark.createDataFrame([(x,) for x in LISTED], "key string")
+    return url_filter(_table(spark, sf_dir, "pages"), listed).select("page_id", "host", "path", "rule", "verdict")
+
+
+def _op8_sql() -> str:
+    from wsig.llm.url_filter import LISTED
+
+    listed = ", ".join(f"('{x}')" for x in LISTED)
+    return f"""
+WITH cut AS (
+  SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+parts AS (SELECT page_id, rest, regexp_extract(rest, '^[^/?#]*', 0) AS h FROM cut),
+p AS (
+  SELECT page_id, translate(h, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+         regexp_extract(substr(rest, length(h) + 1), '^[^?#]*', 0) AS path FROM parts),
+rules(h, q, v) AS (VALUES ('com', '/', 'allow'), ('example.com', '/en/', 'block'), ('www.example.com', '/en/', 'allow'),
+                          ('net', '/es/', 'block'), ('net', '/fr/', 'block')),
+listed(k) AS (VALUES {listed}),
+hosts AS (SELECT DISTINCT host FROM p),
+bad AS (SELECT DISTINCT host FROM hosts, listed WHERE host = k OR ends_with(host, '.' || k)),
+best AS (
+  SELECT page_id, host, path,
+         (SELECT max_by(h || q, length(h || q)) FROM rules WHERE (host = h OR ends_with(host, '.' || h)) AND starts_with(path, q)) AS rule,
+         (SELECT max_by(v, length(h || q)) FROM rules WHERE (host = h OR ends_with(host, '.' || h)) AND starts_with(path, q)) AS v
+  FROM p)
+SELECT page_id, host, path, rule,
+       coalesce(v, CASE WHEN host IN (SELECT host FROM bad) THEN 'block' ELSE 'allow' END) AS verdict
+FROM best"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup)}
+    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op5_mixing, op8_url_filter)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_url_filter": _op8_sql()}
