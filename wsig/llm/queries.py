@@ -66,8 +66,14 @@ SELECT page_id, host, path, rule,
 FROM best"""
 
 
+def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wsig.llm.pii import find_pii
+
+    return find_pii(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op5_mixing, op8_url_filter)}
+    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op5_mixing, op8_url_filter, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
