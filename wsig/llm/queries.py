@@ -72,8 +72,16 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_pii(_table(spark, sf_dir, "documents"))
 
 
+def op6_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from wsig.llm.token_file import token_files
+
+    return token_files(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op5_mixing, op8_url_filter, op10_pii)}
+    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op5_mixing, op6_token_files, op8_url_filter, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
