@@ -80,8 +80,14 @@ def op6_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wsig.llm.substring_dedup import substring_dedup
+
+    return substring_dedup(_table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op5_mixing, op6_token_files, op8_url_filter, op10_pii)}
+    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op8_url_filter, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
