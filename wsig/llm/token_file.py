@@ -15,8 +15,10 @@ that no manifest names. Null and empty texts are one end id. An empty table has
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -28,8 +30,8 @@ from wsig.llm.textscan import steps
 
 BLOCK, END_ID, PERCENTILE = 4096, 2, 90
 MAGIC = b"PFOR1\n\0\0"
-#: Chunks whose ids a task remembers; when full it starts anew, which changes no result.
-REMEMBERED = 1_000_000
+#: Chunks whose ids a worker remembers, twice over; this changes no result.
+REMEMBERED = 400_000
 _HEAD = np.dtype([("low", "<u4"), ("n", "<u2"), ("width", "u1"), ("pad", "u1"), ("exceptions", "<u2"), ("pad2", "<u2")])
 
 
@@ -158,48 +160,65 @@ class Encoder:
     """Byte-level BPE of the tokenizers library, remembering space-delimited chunks.
 
     In a text without two white-space characters on end, the pre-tokenizer always cuts before a space, so encoding the
-    chunks ``word`` and `` word`` apart gives the ids of the whole text. Other texts are encoded whole.
+    first chunk as it is and every other with the space before it gives the ids of the whole text. Other texts are
+    encoded whole. A worker keeps its encoder for its next task; chunks not asked for between two fillings of the memory
+    are forgotten.
     """
 
+    _made: dict[str, Encoder] = {}
+
     def __init__(self, path: str):
+        import os
+
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    @classmethod
+    def of(cls, path: str) -> Encoder:
+        if path not in cls._made:
+            cls._made[path] = cls(path)
+        return cls._made[path]
 
-    def _learn(self, chunks: set[str]) -> None:
+    def _whole(self, texts: list[str]) -> list[bytes]:
+        out = []
+        for i in range(0, len(texts), 4096):
+            out += [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts[i : i + 4096], add_special_tokens=False)]
+        return out
+
+    def _learn(self, words: set[str]) -> None:
         if len(self.known) > REMEMBERED:
-            self.known.clear()
-        new = [c for c in chunks if c not in self.known]
-        for c, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self.known[c] = np.array(e.ids, "<u4").tobytes()
+            self.known, self.older = {}, self.known
+        known, older = self.known, self.older
+        new = words.difference(known)
+        if older:
+            known.update({w: older[w] for w in new if w in older})
+            new = new.difference(older)
+        known.update(zip(new, self._whole([" " + w for w in new]), strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian uint32."""
-        import re
-
-        plain = [None if _doubled(t, re) else [x for x in _chunks(t)] for t in texts]
-        chunks = set()
-        for p in plain:
-            if p:
-                chunks.update(p)
-        self._learn(chunks)
-        whole = iter(self.tokenizer.encode_batch_fast([t for t, p in zip(texts, plain) if p is None], add_special_tokens=False))
+        rest: list[list[str] | None] = []
+        whole, words = [], set()
+        for t in texts:
+            if _DOUBLED.search(t):
+                rest.append(None)
+                whole.append(t)
+            else:
+                first, *others = t.split(" ")
+                rest.append(others)
+                whole.append(first)
+                words.update(others)
+        self._learn(words)
         get = self.known.__getitem__
-        return [np.array(next(whole).ids, "<u4").tobytes() if p is None else b"".join(map(get, p)) for p in plain]
-
-
-def _doubled(text: str, re) -> bool:
-    return re.search(r"\s\s", text) is not None
+        return [head if others is None else head + b"".join(map(get, others)) for head, others in zip(self._whole(whole), rest, strict=True)]
 
 
-def _chunks(text: str) -> list[str]:
-    first, *rest = text.split(" ")
-    out = [" " + x for x in rest]
-    if first:
-        out.insert(0, first)
-    return out
+_DOUBLED = re.compile(r"\s\s")
 
 
 def _open(path: str, write: bool):
@@ -225,7 +244,7 @@ def write_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int
         encoder, writer, ids_of_docs, path = None, None, [], ""
         for batch in steps(batches):
             if encoder is None:
-                encoder = Encoder(tokenizer_path)
+                encoder = Encoder.of(tokenizer_path)
                 path = f"{folder}/part-{uuid.uuid4().hex}.pfor"
                 sink = _open(path, True)
                 writer = Writer(sink)
