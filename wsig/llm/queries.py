@@ -86,8 +86,16 @@ def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup(_table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
+def op9_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from wsig.llm.piece_codec import encode_pieces
+
+    return encode_pieces(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op8_url_filter, op10_pii)}
+    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op8_url_filter, op9_piece_codec, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
