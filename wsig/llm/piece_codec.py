@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 from wsig.llm.textscan import as_bytes, mix, steps
 
 VARIANTS, WIDE, ALPHA, SEED = 4, 48, 0.1, 17
-#: Chunks whose pieces a task remembers; when full it starts anew, which changes no result.
-REMEMBERED = 1_000_000
+#: Chunks whose pieces a worker remembers, twice over; this changes no result.
+REMEMBERED = 500_000
 MARK = "▁"
 _NONE = np.int32(1 << 30)
 _CHUNK = re.compile(r" *[^ ]*")
@@ -35,7 +35,8 @@ _CHUNK = re.compile(r" *[^ ]*")
 def hashes(seed: int, variant, place, piece) -> np.ndarray:
     """64 keyed bits for each candidate merge."""
     key = np.asarray(variant, np.uint64) << np.uint64(56) ^ np.asarray(place, np.uint64) << np.uint64(24) ^ np.asarray(piece, np.uint64)
-    return mix(key + np.uint64((seed * 0x9E3779B97F4A7C15) & (2**64 - 1)))
+    with np.errstate(over="ignore"):  # arithmetic modulo 2**64
+        return mix(key + np.uint64((seed * 0x9E3779B97F4A7C15) & (2**64 - 1)))
 
 
 def _limit(alpha: float) -> int:
@@ -80,23 +81,33 @@ class Pieces:
         self.lengths = np.array([len(t) for t in texts])
         self.table = np.frombuffer(b"".join(texts), np.uint8)
         self.places = np.cumsum(self.lengths) - self.lengths
-        self.symbols: dict[str, int] = {}
+        self.symbols = np.full(0x110000, -1, np.int32)
         self.strange: list[str] = []
 
     def symbol(self, c: str) -> int:
         """A character's piece; its byte piece; or a number above the pieces, for several byte pieces."""
-        known = self.symbols.get(c)
-        if known is None:
+        known = int(self.symbols[ord(c)])
+        if known < 0:
             raw = c.encode()
-            known = self.plain.get(c) if c != MARK else None
-            if known is None and len(raw) == 1:
+            known = self.plain.get(c, -1) if c != MARK else -1
+            if known < 0 and len(raw) == 1:
                 known = int(self.byte_ids[raw[0]])
-            if known is None:
+            if known < 0:
                 known = self.n + len(self.strange)
                 self.strange.append(c)
-            self.symbols[c] = known
+            self.symbols[ord(c)] = known
         return known
 
+    def symbols_of(self, text: str) -> np.ndarray:
+        points = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+        out = self.symbols[points]
+        new = np.unique(points[out < 0])
+        if len(new):
+            for c in new.tolist():
+                self.symbol(chr(c))
+            out = self.symbols[points]
+        return out
+
     def spelled(self, symbols: list[int]) -> bytes:
         out: list[int] = []
         for s in symbols:
@@ -146,10 +157,9 @@ class Pieces:
         """Pieces of chunks of at most WIDE characters: each round makes the best merge of every chunk."""
         lengths = np.fromiter(map(len, chunks), np.int64, len(chunks))
         width, n = int(lengths.max()), len(chunks)
-        symbol = self.symbol
         inside = np.arange(width) < lengths[:, None]
         syms = np.zeros((n, width + 1), np.int32)
-        syms[:, :width][inside] = [symbol(c) for c in "".join(chunks)]
+        syms[:, :width][inside] = self.symbols_of("".join(chunks))
         place = np.broadcast_to(np.arange(width + 1, dtype=np.int32), syms.shape).copy()
         limit, size = np.uint64(_limit(alpha)), lengths.copy()
         out: list[bytes] = [b""] * n
@@ -171,9 +181,12 @@ class Pieces:
             best = rank.argmin(axis=1)
             going = rank[np.arange(len(rank)), best] < _NONE
             if not going.all():
-                for i in np.flatnonzero(~going):
-                    s = syms[i, : size[i]]
-                    out[who[i]] = s.astype("<i4").tobytes() if s.max(initial=0) < self.n else self.spelled(s.tolist())
+                done = np.flatnonzero(~going)
+                ended, ends = syms[done], size[done]
+                odd = ((ended >= self.n) & (column < ends[:, None])).any(axis=1)
+                data, row = ended.astype("<i4").tobytes(), 4 * (width + 1)
+                for k, (i, n_left, strange) in enumerate(zip(who[done].tolist(), ends.tolist(), odd.tolist(), strict=True)):
+                    out[i] = self.spelled(ended[k, :n_left].tolist()) if strange else data[k * row : k * row + 4 * n_left]
                 syms, place, rank, made, size, variants, who, best = (x[going] for x in (syms, place, rank, made, size, variants, who, best))
                 if not len(syms):
                     break
@@ -192,16 +205,33 @@ class Pieces:
 
 
 class Codec:
-    """Encodes and decodes batches of texts; remembers chunks."""
+    """Encodes and decodes batches of texts.
+
+    A worker keeps its codec, with the chunks that it remembers, for its next task; chunks not asked for between two
+    fillings of the memory are forgotten.
+    """
+
+    _made: dict[tuple, Codec] = {}
 
     def __init__(self, path: str, alpha: float = ALPHA, seed: int = SEED):
         self.pieces, self.alpha, self.seed = Pieces(path), alpha, seed
         self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    @classmethod
+    def of(cls, path: str, alpha: float, seed: int = SEED) -> Codec:
+        if (path, alpha, seed) not in cls._made:
+            cls._made[path, alpha, seed] = cls(path, alpha, seed)
+        return cls._made[path, alpha, seed]
 
     def _learn(self, keys: set[str]) -> None:
         if len(self.known) > REMEMBERED:
-            self.known.clear()
-        new = sorted((k for k in keys if k not in self.known), key=len)
+            self.known, self.older = {}, self.known
+        new = keys.difference(self.known)
+        if self.older:
+            self.known.update({k: self.older[k] for k in new if k in self.older})
+            new = new.difference(self.older)
+        new = sorted(new, key=len)
         short = [k for k in new if len(k) - 1 <= WIDE]
         for i in range(0, len(short), 1 << 14):
             part = short[i : i + (1 << 14)]
@@ -249,7 +279,7 @@ def encode_pieces(docs: DataFrame, model_path: str, alpha: float = ALPHA, seed:
     def run(batches):
         codec = None
         for batch in steps(batches):
-            codec = codec or Codec(model_path, alpha, seed)
+            codec = codec or Codec.of(model_path, alpha, seed)
             doc_ids = batch.column("doc_id")
             texts = [t or "" for t in batch.column("text").to_pylist()]
             encoded = codec.encode(texts, doc_ids.fill_null(0).to_numpy(zero_copy_only=False).astype(np.uint64))
@@ -275,7 +305,7 @@ def decode_pieces(encoded: DataFrame, model_path: str) -> DataFrame:
     def run(batches):
         codec = None
         for batch in batches:
-            codec = codec or Codec(model_path, 0.0)
+            codec = codec or Codec.of(model_path, 0.0)
             lists = batch.column("pieces")
             lists = lists.fill_null([]) if lists.null_count else lists
             counts = np.diff(lists.offsets.to_numpy())
