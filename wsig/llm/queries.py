@@ -94,8 +94,14 @@ def op9_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_pieces(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op7_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wsig.llm.vector_search import nearest
+
+    return nearest(_table(spark, sf_dir, "embeddings"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op8_url_filter, op9_piece_codec, op10_pii)}
+    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op7_vector_search, op8_url_filter, op9_piece_codec, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
