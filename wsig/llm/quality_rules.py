@@ -331,7 +331,7 @@ def quality_rules(docs: DataFrame, band: tuple[float, float] = BAND) -> DataFram
     scored, _ = shared.settle(score(docs, models), "scored")
     limits = bands(scored).collect()  # a row for each language that has a model
     if limits:
-        wide = lambda side, sign: [F.when(F.col("lang").eqNullSafe(F.lit(r["band_lang"])), F.lit(r["middle"]) + sign * band[side] * F.sqrt(F.lit(r["spread"] ** 2) + F.lit(CHAR_SD**2) / F.col("n_chars_scored"))) for r in limits]
+        wide = lambda side, sign: [F.when(F.col("lang").eqNullSafe(F.lit(r["band_lang"])), F.lit(r["middle"]) + sign * band[side] * F.sqrt(F.lit(r["spread"] ** 2) + F.lit(CHAR_SD**2) / F.greatest(F.col("n_chars_scored"), F.lit(1)))) for r in limits]
         low, high = F.coalesce(*wide(0, -1)), F.coalesce(*wide(1, 1))
     else:
         low = high = F.lit(None).cast("double")
