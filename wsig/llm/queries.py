@@ -19,6 +19,13 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "lang", "log_ppl", "low", "high")
 
 
+def op2_weak_label(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wsig.llm.weak_label import weak_label_quality
+
+    out = weak_label_quality(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+    return out.select("doc_id", "kept", "score", "posterior", F.col("flagged").alias("toxic"), F.col("label_score").alias("toxic_score"))
+
+
 def op3_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wsig.llm.simhash import simhash_groups
 
@@ -101,7 +108,7 @@ def op7_vector_search(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_rules, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op7_vector_search, op8_url_filter, op9_piece_codec, op10_pii)}
+    return {f.__name__: f for f in (op1_quality_rules, op2_weak_label, op3_simhash_dedup, op4_substring_dedup, op5_mixing, op6_token_files, op7_vector_search, op8_url_filter, op9_piece_codec, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
