@@ -11,9 +11,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 #: Bytes of text that one numpy step works on; a longer document is a step of its own, hashed in pieces of this size.
-STEP = 1 << 21
+STEP = 1 << 20
 _BASES = (0x9E3779B97F4A7C15, 0xD1342543DE82EF95)
 _U = np.uint64
 _SPACE = np.zeros(256, bool)
@@ -57,7 +58,9 @@ def as_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """All documents' bytes on end, and len(column) + 1 offsets; a null is an empty document."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    column = column.cast(pa.large_binary()).fill_null(b"")
+    column = column.cast(pa.large_binary())
+    if column.null_count:
+        column = column.fill_null(b"")
     n, at = len(column), column.offset
     if n == 0:
         return np.zeros(0, np.uint8), np.zeros(1, np.int64)
@@ -72,7 +75,8 @@ def steps(batches: Iterator[pa.RecordBatch], text: str = "text", size: int = STE
     for batch in batches:
         if batch.num_rows == 0:
             continue
-        _, offsets = as_bytes(batch.column(batch.schema.get_field_index(text)))
+        lengths = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index(text))), 0)
+        offsets = np.concatenate(([0], np.cumsum(lengths.to_numpy(zero_copy_only=False), dtype=np.int64)))
         i = 0
         while i < batch.num_rows:
             j = max(i + 1, int(np.searchsorted(offsets, offsets[i] + size, "right")) - 1)
@@ -83,8 +87,8 @@ def steps(batches: Iterator[pa.RecordBatch], text: str = "text", size: int = STE
 class Scan:
     """Words of a column of texts."""
 
-    def __init__(self, column: pa.Array):
-        self.bytes, self.offsets = as_bytes(column)
+    def __init__(self, column: pa.Array | None, parts: tuple[np.ndarray, np.ndarray] | None = None):
+        self.bytes, self.offsets = as_bytes(column) if parts is None else parts
         solid = ~_SPACE[self.bytes]
         n = len(solid)
         before = np.zeros(n, bool)
