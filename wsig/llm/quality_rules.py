@@ -231,7 +231,31 @@ def base_rules(scan: Scan) -> dict[str, np.ndarray]:
     return out
 
 
-_SCORED = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, log_ppl double, n_chars_scored long"
+_MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "log_ppl", "n_chars_scored")
+_SCORED = ", ".join(f"{c} {'double' if c == 'log_ppl' else 'long'}" for c in _MEASURES)
+
+
+def _measure(batch: pa.RecordBatch, models: dict) -> dict[str, np.ndarray]:
+    """Base counts and log perplexity of a batch's rows."""
+    scan = Scan(batch.column("text"))
+    out = base_rules(scan)
+    keys, n = gram_keys(scan.bytes, scan.offsets)
+    ends = np.cumsum(n)
+    total = np.zeros(len(n))
+    order: dict = {}
+    for i, x in enumerate(batch.column("lang").to_pylist()):
+        order.setdefault(x, []).append(i)
+    for lang, rows in order.items():
+        rows = np.array(rows)
+        lengths = n[rows]
+        if not lengths.sum():
+            continue
+        firsts = (ends - n)[rows]
+        skip = np.repeat(firsts - (np.cumsum(lengths) - lengths), lengths)
+        sums = np.zeros(int(lengths.sum()) + 1)
+        np.cumsum(models[lang].score(keys[np.arange(len(skip)) + skip]), dtype=np.float64, out=sums[1:])
+        total[rows] = np.diff(sums[np.append(0, np.cumsum(lengths))])
+    return out | {"log_ppl": np.where(n > 0, -total / np.maximum(n, 1), np.nan), "n_chars_scored": n}
 
 
 def _score(docs: DataFrame, models: dict) -> DataFrame:
@@ -240,32 +264,11 @@ def _score(docs: DataFrame, models: dict) -> DataFrame:
     def run(batches):
         models = sent.value
         for batch in steps(batches):
-            scan = Scan(batch.column("text"))
-            base = base_rules(scan)
-            keys, n = gram_keys(scan.bytes, scan.offsets)
-            ends = np.cumsum(n)
-            total = np.zeros(len(n))
-            langs = batch.column("lang").to_pylist()
-            order: dict = {}
-            for i, x in enumerate(langs):
-                order.setdefault(x, []).append(i)
-            for lang, rows in order.items():
-                rows = np.array(rows)
-                lengths = n[rows]
-                if not lengths.sum():
-                    continue
-                firsts = (ends - n)[rows]
-                skip = np.repeat(firsts - (np.cumsum(lengths) - lengths), lengths)
-                sums = np.zeros(int(lengths.sum()) + 1)
-                np.cumsum(models[lang].score(keys[np.arange(len(skip)) + skip]), dtype=np.float64, out=sums[1:])
-                total[rows] = np.diff(sums[np.append(0, np.cumsum(lengths))])
-            log_ppl = np.where(n > 0, -total / np.maximum(n, 1), np.nan)
-            columns = [batch.column("doc_id"), batch.column("lang")]
-            columns += [pa.array(base[c].astype(np.int64)) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
-            columns += [pa.array(log_ppl, from_pandas=True), pa.array(n.astype(np.int64))]
-            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "log_ppl", "n_chars_scored"])
-
-    return docs.select(F.col("doc_id").cast("long"), "lang", "text").mapInArrow(run, _SCORED)
+            m = _measure(batch, models)
+            columns = [pa.array(m[c], from_pandas=True) if c == "log_ppl" else pa.array(m[c].astype(np.int64)) for c in _MEASURES]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("lang"), *columns], ["doc_id", "lang", *_MEASURES])
+
+    return docs.select(F.col("doc_id").cast("long"), "lang", "text").mapInArrow(run, f"doc_id long, lang string, {_SCORED}")
 
 
 def train(docs: DataFrame) -> dict:
@@ -295,19 +298,25 @@ def _in_groups(models: dict) -> list[dict]:
     return groups
 
 
+def _of_group(docs: DataFrame, models: dict, groups: list[dict], i: int) -> DataFrame:
+    """The rows whose language is in group i; languages without any text are in the first."""
+    if len(groups) == 1:
+        return docs
+    group = groups[i]
+    named = [x for x in group if x is not None]
+    every = [x for x in models if x is not None]
+    among = lambda names, null: F.when(F.col("lang").isNull(), F.lit(null)).otherwise(F.col("lang").isin(names) if names else F.lit(False))
+    here = among(named, None in group)
+    return docs.where(here | ~among(every, None in models) if i == 0 else here)
+
+
 def score(docs: DataFrame, models: dict) -> DataFrame:
     """Base counts and log perplexity for each document; languages in groups of bounded model size."""
     groups = _in_groups(models)
-    if len(groups) == 1:
-        return _score(docs, groups[0])
-    out = None
-    for i, group in enumerate(groups):
-        named = [x for x in group if x is not None]
-        here = F.col("lang").isin(named) | (F.col("lang").isNull() if None in group else F.lit(False))
-        if i == 0:  # with the languages of which no text has a character
-            here = F.coalesce(here, F.lit(False)) | ~F.coalesce(F.col("lang").isin([x for x in models if x is not None]), F.lit(None in models))
-        part = _score(docs.where(F.coalesce(here, F.lit(False))), group)
-        out = part if out is None else out.unionByName(part)
+    parts = [_score(_of_group(docs, models, groups, i), group) for i, group in enumerate(groups)]
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
     return out
 
 
@@ -325,16 +334,48 @@ def base_failed() -> Column:
     return (F.col("n_words") < MIN_WORDS) | (F.lit(100) * F.col("n_repeat_words") > F.lit(MAX_REPEAT_PERCENT) * F.col("n_words"))
 
 
-def quality_rules(docs: DataFrame, band: tuple[float, float] = BAND) -> DataFrame:
-    """One row for each row of ``docs``: doc_id, lang, base counts, log_ppl, the band's edges, base_failed and kept."""
+def _judged(docs: DataFrame, band: tuple[float, float]) -> tuple[dict, DataFrame, list, tuple[Column, Column, Column]]:
+    """Models, measures of all rows, the languages' bands, and columns that judge a row of measures."""
     models = train(docs)
-    scored, _ = shared.settle(score(docs, models), "scored")
+    scored, path = shared.settle(score(docs, models), "scored")
     limits = bands(scored).collect()  # a row for each language that has a model
     if limits:
         wide = lambda side, sign: [F.when(F.col("lang").eqNullSafe(F.lit(r["band_lang"])), F.lit(r["middle"]) + sign * band[side] * F.sqrt(F.lit(r["spread"] ** 2) + F.lit(CHAR_SD**2) / F.greatest(F.col("n_chars_scored"), F.lit(1)))) for r in limits]
         low, high = F.coalesce(*wide(0, -1)), F.coalesce(*wide(1, 1))
     else:
         low = high = F.lit(None).cast("double")
-    out = scored.withColumns({"low": low, "high": high, "base_failed": base_failed()})
+    return models, scored, limits, (low, high, base_failed())
+
+
+def quality_rules(docs: DataFrame, band: tuple[float, float] = BAND) -> DataFrame:
+    """One row for each row of ``docs``: doc_id, lang, base counts, log_ppl, the band's edges, base_failed and kept."""
+    _, scored, _, (low, high, failed) = _judged(docs, band)
+    out = scored.withColumns({"low": low, "high": high, "base_failed": failed})
     inside = F.coalesce(F.col("log_ppl").between(F.col("low"), F.col("high")), F.lit(False))
     return out.withColumn("kept", ~F.col("base_failed") & inside)
+
+
+def keep_good(docs: DataFrame, band: tuple[float, float] = BAND) -> DataFrame:
+    """Rows of ``docs`` that quality_rules keeps, judged where their text is read, so no text is shuffled."""
+    models, _, limits, _ = _judged(docs, band)
+    columns, parts = docs.columns, []
+    groups = _in_groups(models)
+    edges = {r["band_lang"]: (r["middle"], r["spread"]) for r in limits}
+    for i, group in enumerate(groups):
+        sent = docs.sparkSession.sparkContext.broadcast((group, edges))
+
+        def run(batches, sent=sent):
+            models, edges = sent.value
+            for batch in steps(batches):
+                m = _measure(batch, models)
+                middle, spread = np.array([edges.get(x, (np.nan, np.nan)) for x in batch.column("lang").to_pylist()], float).T
+                width = np.sqrt(spread**2 + CHAR_SD**2 / np.maximum(m["n_chars_scored"], 1))
+                good = (m["log_ppl"] >= middle - band[0] * width) & (m["log_ppl"] <= middle + band[1] * width)
+                good &= (m["n_words"] >= MIN_WORDS) & (100 * m["n_repeat_words"] <= MAX_REPEAT_PERCENT * m["n_words"])
+                yield batch.filter(pa.array(good))
+
+        parts.append(_of_group(docs, models, groups, i).select(columns).mapInArrow(run, docs.schema))
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    return out
