@@ -137,17 +137,18 @@ def _cut(texts: DataFrame, repeats: DataFrame, window: int) -> DataFrame:
 def repeats(docs: DataFrame, rows: DataFrame, window: int = WINDOW) -> DataFrame:
     """(doc_id, th, at, n): stretches of n repeated windows from word ``at``, over the rows that _scan_rows gives."""
     runs = rows.where("doc_id is not null").select("doc_id", "th", F.explode("runs").alias("r")).select("r.anchor", "r.cls", "doc_id", "th", "r.at", "r.n")
-    seeds = runs.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
+    ends = [f("doc_id").alias(a) for f, a in ((F.min, "lo"), (F.max, "hi"))] + [f("cls").alias(a) for f, a in ((F.min, "cls_lo"), (F.max, "cls_hi"))]
+    # what is joined back on a skewed key is written first: a join of two exchanges is one whose large partitions Spark splits
+    seeds, _ = shared.settle(runs.groupBy("anchor").agg(*ends).where("lo < hi").select("anchor", (F.col("cls_lo") != F.col("cls_hi")).alias("several")), "anchors")
     hits, hits_path = shared.settle(runs.join(seeds, "anchor"), "anchor-hits")
-    classes, _ = shared.settle(hits.groupBy("anchor", "cls").agg(F.min("doc_id").alias("first"), F.min("n").alias("n")), "run-classes")
-    several = classes.groupBy("anchor").agg(F.count("*").alias("classes")).where("classes > 1").select("anchor")
-    judged, judged_path = shared.settle(hits.join(classes.select("anchor", "cls", "first"), ["anchor", "cls"]).join(several.withColumn("several", F.lit(True)), "anchor", "left").select("doc_id", "th", "at", "n", "first", F.coalesce("several", F.lit(False)).alias("several")), "run-firsts")
+    classes, _ = shared.settle(hits.groupBy("anchor", "cls").agg(F.min("doc_id").alias("first")), "classes")
+    judged, _ = shared.settle(hits.join(classes, ["anchor", "cls"]).select("doc_id", "th", "at", "n", "first", "several"), "run-firsts")
     shared.drop(docs.sparkSession, hits_path)
     whole = judged.where("first < doc_id").select("doc_id", "th", "at", "n")
     open_runs = judged.where("first = doc_id and several").select("doc_id", "th", "at", "n").distinct()
     texts = _texts(docs, open_runs.select("doc_id", "th").distinct()).dropDuplicates(["doc_id", "th"])
     each, _ = shared.settle(_windows(texts, open_runs, window), "windows")
-    firsts = each.groupBy("wa", "wb").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("wa", "wb", "lo")
+    firsts, _ = shared.settle(each.groupBy("wa", "wb").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("wa", "wb", "lo"), "window-firsts")
     found = each.join(firsts, ["wa", "wb"]).where("lo < doc_id").select("doc_id", "th", F.col("i").alias("at"), F.lit(1).cast("short").alias("n"))
     return whole.unionByName(found)
 
