@@ -61,9 +61,12 @@ def strip_tags(html) -> Column:
 
 def shingles(tokens: Column, k: int) -> Column:
     """Runs of k tokens, joined by spaces; the whole sequence when it is shorter."""
-    n = F.size(tokens)
-    runs = F.transform(F.sequence(F.lit(1), F.greatest(n - k + 1, F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, k), " "))
-    return F.when(n > 0, runs).otherwise(F.array().cast("array<string>"))
+
+    def runs(t):  # t is a lambda's variable, so the tokens are made once and not for each run
+        whole = F.transform(F.sequence(F.lit(1), F.greatest(F.size(t) - k + 1, F.lit(1))), lambda i: F.array_join(F.slice(t, i, k), " "))
+        return F.when(F.size(t) > 0, whole).otherwise(F.array().cast("array<string>"))
+
+    return F.element_at(F.transform(F.array(tokens), runs), 1)
 
 
 def terms(df: DataFrame, bag_id: str, text: str, unit: str = "word", k: int = 5) -> DataFrame:

@@ -170,32 +170,37 @@ def np_icws(elem: np.ndarray, weight: np.ndarray, m: int, salt: int = 0):
     return ids, h
 
 
+#: Dyadic intervals under a weight's own that np_cws looks at; what lies lower has a share of 2**-40 of the weight.
+LOWER = 40
+
+
 def np_cws(elem: np.ndarray, weight: np.ndarray, m: int, salt: int = 0):
-    """Consistent sampling by records in dyadic weight intervals.
+    """Consistent sampling on dyadic weight intervals (2**(k-1), 2**k].
 
-    In (2**(k-1), 2**k] an element's hash process has keyed record places, laid from the top down; the last record at or
-    under the weight gives the sample's level and value.
+    Each interval of an element holds a keyed process of (place, value) points. The least point of whole intervals below the
+    weight comes from one draw each; in the weight's own interval the points are walked by rising value, each lower in
+    place than the last, until one lies at or under the weight. The bag's sample is its least value.
     """
-    ids, h = np.zeros(m, np.int64), np.full(m, np.inf)
-    for j in range(m):
-        for e, w in zip(elem.tolist(), weight.tolist(), strict=True):
-            k, found = int(np.ceil(np.log2(w))), None
-            while found is None:
-                top, n = 2.0**k, 0
-                while top > 2.0 ** (k - 1):  # records below the interval's top, each uniform under the last
-                    u = float(np_u01(salt, e, j, k, U1, n))
-                    if top <= w:
-                        found = top, k, n
-                        break
-                    top *= u
-                    n += 1
-                k -= 1
-            level, k, n = found
-            # the value of a record at a level is exponential with that level's rate, by the same key
-            x = -np.log(float(np_u01(salt, e, j, k, U2, n))) / level
-            if x < h[j]:
-                h[j], ids[j] = x, np_hash(salt, e, k, n).view(np.int64)
-    return ids, h
+    j = np.arange(m)[None, :]
+    e, w = elem[:, None], weight[:, None]
+    own = np.ceil(np.log2(w)).astype(np.int64)
+    floor = np.exp2(own - 1.0)
+    e, w, own, floor, j = np.broadcast_arrays(e, w, own, floor, j)
+    place, x, n, got = 2 * floor, np.zeros(e.shape), np.zeros(e.shape, np.int64), np.zeros(e.shape, bool)
+    while not got.all():  # ends surely: each step shrinks the stretch, and an empty one gives way to the intervals below
+        x = np.where(got, x, x - np.log(np_u01(salt, e, j, own, U1, n)) / (place - floor))
+        place = np.where(got, place, floor + (place - floor) * np_u01(salt, e, j, own, U2, n))
+        got = got | (place <= w)
+        n = np.where(got, n, n + 1)
+        x = np.where(~got & (place - floor <= (w - floor) * 1e-12), np.inf, x)
+        got = got | np.isinf(x)
+    best, level, number = x, own, n
+    for step in range(1, LOWER):
+        k = own - step
+        low = -np.log(np_u01(salt, e, j, k, U1, 0)) / np.exp2(k - 1.0)
+        level, number, best = np.where(low < best, k, level), np.where(low < best, 0, number), np.minimum(low, best)
+    win, at = best.argmin(axis=0), np.arange(m)
+    return np_hash(salt, elem[win], level[win, at], number[win, at]).view(np.int64), best[win, at]
 
 
 def sig_cws(bags: DataFrame, m: int, salt: int = 0) -> DataFrame:

@@ -112,9 +112,10 @@ def pair_quality(found: DataFrame, truth: DataFrame) -> DataFrame:
     return n.select("found", "true", "hit", recall.alias("recall"), precision.alias("precision"), F.try_divide(2 * recall * precision, recall + precision).alias("f1"))
 
 
-def asymmetric_pad(bags: DataFrame, common: float) -> DataFrame:
-    """Data bags padded by a private element to a common weight, so that similarity to a query grows with their overlap."""
-    pad = totals(bags).where(F.col("total") < common).select("bag_id", F.xxhash64(F.lit("pad"), "bag_id").alias("elem"), (F.lit(float(common)) - F.col("total")).alias("weight"))
+def asymmetric_pad(bags: DataFrame, common) -> DataFrame:
+    """Data bags padded by a private element to a common weight (a number, or a column of ``total``), so that similarity to a query grows with their overlap."""
+    goal = common if isinstance(common, Column) else F.lit(float(common))
+    pad = totals(bags).select("bag_id", F.xxhash64(F.lit("pad"), "bag_id").alias("elem"), (goal - F.col("total")).alias("weight")).where("weight > 0")
     return bags.select("bag_id", "elem", "weight").unionByName(pad)
 
 

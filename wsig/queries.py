@@ -643,15 +643,18 @@ def contamination(spark, d):
 
 @query()
 def containment_sketch(spark, d):
-    """Benchmark items against documents by signatures of shingle sets that are padded to a common weight."""
-    items = B.bag_from_text(B.load(spark, d, "benchmark"), "item_id", "text", "shingle", 5, "binary")
-    docs = _doc_words(spark, d, "shingle", "binary")
-    common = B.totals(docs).agg(F.max("total")).first()[0]
-    padded = lsh.asymmetric_pad(docs, common)
-    m = 128
-    left, right = (poisson.assemble(poisson.sig_ordered(x, m, BinaryLadder(), Prng()), m) for x in (items, docs))
-    del padded
-    return lsh.two_table_join(left, right, m, 1).withColumnsRenamed({"a": "item_id", "b": "doc_id"})
+    """Benchmark items whose shingles a document holds to 80 %, found by signatures of documents padded to the next power of two."""
+    items = lsh.settle(B.bag_from_text(B.load(spark, d, "benchmark"), "item_id", "text", "shingle", 5, "binary"))
+    docs = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
+    m, ladder = 128, IntegerLadder(1 << 20)
+    left = poisson.assemble(lp_kernel.sig_lp_arrow(items, m, ladder), m)
+    right = poisson.assemble(lp_kernel.sig_lp_arrow(lsh.asymmetric_pad(docs, F.pow(F.lit(2.0), F.ceil(F.log2("total")))), m, ladder), m)
+    pairs = lsh.two_table_join(left, right, m, 1)
+    asked = pairs.join(items.select(F.col("bag_id").alias("a"), "elem"), "a")
+    held = asked.join(docs.select(F.col("bag_id").alias("b"), "elem"), ["b", "elem"]).groupBy("a", "b").agg(F.count("*").alias("c"))
+    n = items.groupBy(F.col("bag_id").alias("a")).agg(F.count("*").alias("n"))
+    rows = held.join(n, "a").withColumn("share", F.col("c") / F.col("n")).where("share >= 0.8")
+    return rows.select(F.col("a").alias("item_id"), F.col("b").alias("doc_id"), _r("share").alias("share"))
 
 
 _USER = "SELECT user_id AS bag_id, event_type AS elem, round(sum(value), 2) AS weight FROM events GROUP BY ALL"
@@ -681,7 +684,7 @@ def minmax_kernel(spark, d):
 
 @query(
     _KERNEL
-    + """, both AS (SELECT a AS q, b AS n, k FROM k UNION ALL SELECT b, a, k FROM k), best AS (SELECT q, n FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY k DESC, n) AS r FROM both) WHERE r = 1)
+    + """, sides AS (SELECT a AS q, b AS n, k FROM k UNION ALL SELECT b, a, k FROM k), best AS (SELECT q, n FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY k DESC, n) AS r FROM sides) WHERE r = 1)
 SELECT count(*) AS n, sum(CASE WHEN x.label = y.label THEN 1 ELSE 0 END)::BIGINT AS hits FROM best JOIN embeddings x ON x.vec_id = q JOIN embeddings y ON y.vec_id = n"""
 )
 def knn_label_accuracy(spark, d):
