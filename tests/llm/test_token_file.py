@@ -48,7 +48,7 @@ def test_shard_random_access():
 
 def texts():
     random.seed(4)
-    pieces = ["Hello", "it's", "naïve", "日本", "<|endoftext|>", "a,b", "\n", "\t", " ", "  ", " ", "x\ny", "'s", "12345", " ", "é!", "\x1c", "\x85"]
+    pieces = ["Hello", "it's", "naïve", "日本", "<|endoftext|>", "a,b", "\n", "\t", " ", "  ", " ", "x\ny", "'s", "12345", " ", "é!", "\x1c", "\x85", "\u2003", "“q”", "\u00a0", "Ġ", "Ċx"]
     return [" ".join(random.choices(pieces, k=random.randrange(9))) for _ in range(300)] + ["", " a", "a ", " ", "a\n b", "don't 've"]
 
 
@@ -56,7 +56,11 @@ def test_chunks_encode_like_the_whole_text():
     t = Tokenizer.from_file(PATH)
     t.encode_special_tokens = True
     want = [e.ids for e in t.encode_batch(texts(), add_special_tokens=False)]
-    assert [np.frombuffer(x, "<u4").tolist() for x in K.Encoder(PATH).encode(texts())] == want
+    for batch in (texts(), [x for x in texts() if x.strip() == x and "\t" not in x], [], ["", None]):
+        ids, lengths = K.Encoder.of(PATH).encode(pa.array(batch, pa.string()), 2)
+        got = [x.tolist() for x in np.split(ids, np.cumsum(lengths))[:-1]]
+        assert got == [t.encode(x or "", add_special_tokens=False).ids + [2] for x in batch]
+    assert len(want) == len(texts())
 
 
 def test_files_against_direct_encoding(spark):

@@ -15,10 +15,8 @@ that no manifest names. Null and empty texts are one end id. An empty table has
 
 from __future__ import annotations
 
-import re
 import uuid
 import zlib
-from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -26,12 +24,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wsig.llm import shared
-from wsig.llm.textscan import steps
+from wsig.llm.textscan import Scan, steps
 
 BLOCK, END_ID, PERCENTILE = 4096, 2, 90
 MAGIC = b"PFOR1\n\0\0"
-#: Chunks whose ids a worker remembers, twice over; this changes no result.
-REMEMBERED = 400_000
+#: Bytes of text in which equal chunks are encoded once; a longer text is a step of its own.
+CHUNKED = 8 << 20
 _HEAD = np.dtype([("low", "<u4"), ("n", "<u2"), ("width", "u1"), ("pad", "u1"), ("exceptions", "<u2"), ("pad2", "<u2")])
 
 
@@ -157,16 +155,14 @@ class Reader:
 
 
 class Encoder:
-    """Byte-level BPE of the tokenizers library, remembering space-delimited chunks.
+    """Byte-level BPE of the tokenizers library, in which equal chunks of a batch are encoded once.
 
-    In a text without two white-space characters on end, the pre-tokenizer always cuts before a space, so encoding the
-    first chunk as it is and every other with the space before it gives the ids of the whole text. Other texts are
-    encoded whole. A worker keeps its encoder for its next task; chunks not asked for between two fillings of the memory
-    are forgotten.
+    In a text whose white space is single spaces and line feeds, the pre-tokenizer always cuts before these, so encoding
+    the chunks that begin with them apart gives the ids of the whole text. Chunks are found and told apart by hash in
+    numpy; the different ones are encoded many at a time as one text, whose ids are cut again where a token begins with a
+    space (or a line feed): no other token holds one. Other texts are encoded whole. A worker keeps its encoder.
     """
 
-    _made: dict[str, Encoder] = {}
-
     def __init__(self, path: str):
         import os
 
@@ -175,50 +171,110 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.known: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
+        names = [self.tokenizer.id_to_token(i) or "" for i in range(self.tokenizer.get_vocab_size())]
+        self.begins = {lead: np.array([x.startswith(sign) for x in names]) for lead, sign in ((" ", "Ġ"), ("\n", "Ċ"))}
 
     @classmethod
     def of(cls, path: str) -> Encoder:
-        if path not in cls._made:
-            cls._made[path] = cls(path)
-        return cls._made[path]
-
-    def _whole(self, texts: list[str]) -> list[bytes]:
-        out = []
-        for i in range(0, len(texts), 4096):
-            out += [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts[i : i + 4096], add_special_tokens=False)]
+        if path not in _encoders:
+            _encoders[path] = cls(path)
+        return _encoders[path]
+
+    def _whole(self, texts: list[str]) -> list[np.ndarray]:
+        out: list[np.ndarray] = []
+        for i in range(0, len(texts), 1024):
+            out += [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(texts[i : i + 1024], add_special_tokens=False)]
         return out
 
-    def _learn(self, words: set[str]) -> None:
-        if len(self.known) > REMEMBERED:
-            self.known, self.older = {}, self.known
-        known, older = self.known, self.older
-        new = words.difference(known)
-        if older:
-            known.update({w: older[w] for w in new if w in older})
-            new = new.difference(older)
-        known.update(zip(new, self._whole([" " + w for w in new]), strict=True))
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Ids of each text as little-endian uint32."""
-        rest: list[list[str] | None] = []
-        whole, words = [], set()
-        for t in texts:
-            if _DOUBLED.search(t):
-                rest.append(None)
-                whole.append(t)
+    def _together(self, chunks: list[str], lead: str) -> tuple[np.ndarray, np.ndarray]:
+        """Ids end to end, and their number, of chunks that each begin with ``lead`` and hold it nowhere else."""
+        ids, lengths = [], []
+        for i in range(0, len(chunks), 512):
+            part = chunks[i : i + 512]
+            (encoded,) = self.tokenizer.encode_batch_fast(["".join(part)], add_special_tokens=False)
+            got = np.array(encoded.ids, np.uint32)
+            at = np.flatnonzero(self.begins[lead][got])
+            if len(at) == len(part):
+                ids.append(got)
+                lengths.append(np.diff(np.append(at, len(got))))
             else:
-                first, *others = t.split(" ")
-                rest.append(others)
-                whole.append(first)
-                words.update(others)
-        self._learn(words)
-        get = self.known.__getitem__
-        return [head if others is None else head + b"".join(map(get, others)) for head, others in zip(self._whole(whole), rest, strict=True)]
-
-
-_DOUBLED = re.compile(r"\s\s")
+                each = self._whole(part)
+                ids += each
+                lengths.append(np.array([len(x) for x in each], np.int64))
+        return (np.concatenate(ids), np.concatenate(lengths)) if ids else (np.zeros(0, np.uint32), np.zeros(0, np.int64))
+
+    def encode(self, column: pa.Array, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts end to end, each with its end id, and each text's number of ids."""
+        scan = Scan(column)
+        odd = irregular(scan)
+        keep = np.flatnonzero(~odd[scan.doc])
+        doc, starts, ends = scan.doc[keep], scan.starts[keep], scan.ends[keep]
+        starts = np.where(starts > scan.offsets[doc], starts - 1, starts)  # with the white space before
+        marked = np.flatnonzero(_MARK[scan.bytes[ends - 1]] & _LETTER[scan.bytes[np.maximum(ends - 2, 0)]] & (ends - starts > 2))
+        if len(marked):  # a comma or full stop after a letter is a chunk of its own, as the pre-tokenizer cuts there too
+            at = marked + 1
+            starts, doc = np.insert(starts, at, ends[marked] - 1), np.insert(doc, at, doc[marked])
+            ends = np.insert(ends, at, ends[marked])
+            ends[marked + np.arange(len(marked))] -= 1
+        _, first, which = np.unique(scan.hash_runs(starts, ends), return_index=True, return_inverse=True)
+        whole = scan.bytes.tobytes()
+        lead = scan.bytes[starts[first]]
+        flat, sizes = [], np.zeros(len(first), np.int64)
+        places, done = np.zeros(len(first), np.int64), 0
+        for sign in (" ", "\n", ""):
+            mine = np.flatnonzero(lead == ord(sign)) if sign else np.flatnonzero((lead != 32) & (lead != 10))
+            texts = [whole[a:b].decode() for a, b in zip(starts[first[mine]].tolist(), ends[first[mine]].tolist())]
+            if sign:
+                ids, n = self._together(texts, sign)
+            else:
+                each = self._whole(texts)
+                ids, n = np.concatenate([np.zeros(0, np.uint32), *each]), np.array([len(x) for x in each], np.int64)
+            flat.append(ids)
+            sizes[mine], places[mine] = n, done + np.cumsum(n) - n
+            done += len(ids)
+        table = np.concatenate(flat)
+        n = sizes[which]
+        ids = table[np.arange(int(n.sum())) + np.repeat(places[which] - (np.cumsum(n) - n), n)]
+        per_doc = np.bincount(doc, n, len(odd)).astype(np.int64)
+        odd_at = np.flatnonzero(odd)
+        texts = self._whole([whole[a:b].decode() for a, b in zip(scan.offsets[odd_at].tolist(), scan.offsets[odd_at + 1].tolist())])
+        per_doc[odd_at] = [len(x) for x in texts]
+        lengths = per_doc + 1
+        edges = np.cumsum(lengths)
+        out = np.empty(int(edges[-1]) if len(edges) else 0, np.uint32)
+        out[edges - 1] = end_id
+        plain = np.where(odd, 0, per_doc)
+        out[np.arange(len(ids)) + np.repeat(edges - lengths - (np.cumsum(plain) - plain), plain)] = ids
+        for i, x in zip(odd_at.tolist(), texts, strict=True):
+            out[edges[i] - lengths[i] : edges[i] - 1] = x
+        return out, lengths
+
+
+_encoders: dict[str, Encoder] = {}
+_PLAIN_SPACE = np.isin(np.arange(256), (0x20, 0x0A))
+_MARK, _LETTER = np.isin(np.arange(256), (0x2C, 0x2E)), np.array([chr(i).isalpha() and i < 128 for i in range(256)])
+_OTHER_SPACE = np.isin(np.arange(256), (0x09, 0x0B, 0x0C, 0x0D, 0x1C, 0x1D, 0x1E, 0x1F))
+# UTF-8 beginnings of white space past ASCII (and of some other characters, which does no harm).
+_WIDE_SPACE = (b"\xc2\x85", b"\xc2\xa0", b"\xe1\x9a\x80", b"\xe2\x80\xa8", b"\xe2\x80\xa9", b"\xe2\x80\xaf", b"\xe2\x81\x9f", b"\xe3\x80\x80", *(b"\xe2\x80" + bytes([x]) for x in range(0x80, 0x8B)))
+
+
+def irregular(scan: Scan) -> np.ndarray:
+    """Documents with white space that isn't a single space or line feed before a word of theirs."""
+    text, offsets = scan.bytes, scan.offsets
+    odd = _OTHER_SPACE[text]
+    space = _PLAIN_SPACE[text]
+    odd[:-1] |= space[:-1] & space[1:]  # two on end; across documents this errs to the safe side
+    lasts = offsets[1:][offsets[1:] > offsets[:-1]] - 1
+    odd[lasts] |= space[lasts]
+    if (text >= 0xC2).any():
+        whole = text.tobytes()
+        seen = {x: bool((text == x).any()) for x in {m[0] for m in _WIDE_SPACE}}
+        for mark in (m for m in _WIDE_SPACE if seen[m[0]]):
+            at = whole.find(mark)
+            while at >= 0:
+                odd[at] = True
+                at = whole.find(mark, at + 1)
+    return scan.per_doc(odd) > 0
 
 
 def _open(path: str, write: bool):
@@ -242,17 +298,13 @@ def write_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int
         from pyspark import TaskContext
 
         encoder, writer, ids_of_docs, path = None, None, [], ""
-        for batch in steps(batches):
+        for batch in steps(batches, size=CHUNKED):
             if encoder is None:
                 encoder = Encoder.of(tokenizer_path)
                 path = f"{folder}/part-{uuid.uuid4().hex}.pfor"
                 sink = _open(path, True)
                 writer = Writer(sink)
-            texts = [t or "" for t in batch.column("text").to_pylist()]
-            end = np.array([end_id], "<u4").tobytes()
-            encoded = [x + end for x in encoder.encode(texts)]
-            lengths = np.array([len(x) // 4 for x in encoded], np.int64)
-            writer.add(np.frombuffer(b"".join(encoded), "<u4"), lengths)
+            writer.add(*encoder.encode(batch.column("text"), end_id))
             ids_of_docs.append(batch.column("doc_id"))
         if writer is not None:
             writer.close()
