@@ -23,7 +23,7 @@ from wsig.llm import shared
 from wsig.llm.quality_rules import base_rules, gram_keys
 from wsig.llm.textscan import Scan, mix, steps
 
-SAMPLE, LABELLED, BITS, STEPS = 8_000, 12_000, 18, 60
+SAMPLE, LABELLED, BITS, STEPS = 6_000, 6_000, 18, 60
 _SIZE = 1 << BITS
 
 # Frequent function words of the corpus's languages.
@@ -194,8 +194,8 @@ def _sampled(docs: DataFrame, column: str, kind=features) -> tuple[np.ndarray, .
     if not rows.num_rows:
         return None
     at = rows.column("at").combine_chunks()
-    doc = np.repeat(np.arange(rows.num_rows), np.diff(at.offsets.to_numpy()))
-    return doc, at.flatten().to_numpy().astype(np.int64), rows.column("value").combine_chunks().flatten().to_numpy(), rows.column("label").to_numpy()
+    doc = np.repeat(np.arange(rows.num_rows, dtype=np.int32), np.diff(at.offsets.to_numpy()))
+    return doc, at.flatten().to_numpy(), rows.column("value").combine_chunks().flatten().to_numpy(), rows.column("label").to_numpy()
 
 
 def _draw(rows: DataFrame, n: int, most: int) -> DataFrame:
