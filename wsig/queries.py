@@ -68,9 +68,9 @@ def bag_order_part(spark, d):
     return B.order_part_set(spark, d)
 
 
-@query("SELECT l_suppkey AS bag_id, l_partkey AS elem, round(sum(l_extendedprice * (1 - l_discount)), 2) AS weight FROM lineitem GROUP BY ALL")
+@query("SELECT l_suppkey AS bag_id, l_partkey AS elem, round(sum(l_extendedprice * (1 - l_discount)), 4) AS weight FROM lineitem GROUP BY ALL")
 def bag_supplier_revenue(spark, d):
-    return B.supplier_part(spark, d, B.revenue()).withColumn("weight", F.round("weight", 2))
+    return B.supplier_part(spark, d, B.revenue()).withColumn("weight", F.round("weight", 4))
 
 
 _WORDS = "SELECT doc_id AS bag_id, unnest(regexp_extract_all(lower(text), '[a-z0-9]+')) AS term FROM documents"
@@ -180,7 +180,7 @@ def sparsity(spark, d):
 
 # --- ladders -----------------------------------------------------------------------------------------------------------
 
-_REVENUE = "SELECT l_suppkey AS bag_id, l_partkey AS elem, round(sum(l_extendedprice * (1 - l_discount)), 2) AS weight FROM lineitem GROUP BY ALL"
+_REVENUE = "SELECT l_suppkey AS bag_id, l_partkey AS elem, round(sum(l_extendedprice * (1 - l_discount)), 4) AS weight FROM lineitem GROUP BY ALL"
 _GEO = GeometricLadder(1.0, 0.01, 1e7)
 
 
