@@ -115,11 +115,11 @@ def bag_embedding_posneg(spark, d):
     return B.bag_from_vector(B.load(spark, d, "embeddings"), "vec_id", "embedding")
 
 
-@query("""SELECT user_id AS bag_id, json_extract_string(props, '$.page') AS page, count(*) AS n FROM events
-WHERE json_extract_string(props, '$.page') IS NOT NULL GROUP BY ALL""")
+@query("""SELECT user_id AS bag_id, json_extract_string(props, '$.k') AS k, count(*) AS n FROM events
+WHERE json_extract_string(props, '$.k') IS NOT NULL GROUP BY ALL""")
 def bag_from_event_json(spark, d):
-    ev = B.load(spark, d, "events", ["user_id", "props"]).withColumn("page", F.get_json_object("props", "$.page"))
-    return ev.where("page is not null").groupBy(F.col("user_id").alias("bag_id"), "page").agg(F.count("*").alias("n"))
+    ev = B.load(spark, d, "events", ["user_id", "props"]).withColumn("k", F.get_json_object("props", "$.k"))
+    return ev.where("k is not null").groupBy(F.col("user_id").alias("bag_id"), "k").agg(F.count("*").alias("n"))
 
 
 # --- exact similarities ------------------------------------------------------------------------------------------------
