@@ -11,6 +11,8 @@ from pyspark.sql import functions as F
 from wsig.functions.estimate import estimate_jaccard, plan_bands
 from wsig.operators.bags import jaccard_exact, totals
 
+BLOCK = 256
+
 
 def shared_dir(spark: SparkSession) -> str:
     """The cluster's checkpoint folder; a temporary one of our own only where there is one machine."""
@@ -39,31 +41,75 @@ def band_keys(sigs: DataFrame, bands: int, rows: int) -> DataFrame:
     return sigs.select("bag_id", F.posexplode(keys).alias("band", "bucket")).where("bucket is not null")
 
 
-def candidate_pairs(keys: DataFrame, max_bucket: int = 64) -> DataFrame:
-    """Distinct pairs (a, b) from buckets of up to ``max_bucket`` bags; a larger bucket links its bags to its smallest one.
+def _pairs_within(rows: DataFrame, group: list[str]) -> DataFrame:
+    """(*group, a, b) with a < b for every two ids of a group. A group of over ``BLOCK`` ids is dealt to blocks and paired
+    block against block, so no task holds a large group."""
+    size = rows.groupBy(*group).agg(F.count("*").alias("n")).where("n > 1").select(*group, F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
+    dealt = rows.join(size, group).withColumn("own", F.pmod(F.xxhash64("bag_id", F.lit(11)), F.col("blocks")).cast("int"))
+    left = dealt.select(*group, F.col("bag_id").alias("a"), F.col("own").alias("i"), F.explode(F.sequence(F.col("own"), F.col("blocks") - 1)).alias("j"))
+    right = dealt.select(*group, F.col("bag_id").alias("b"), F.explode(F.sequence(F.lit(0), F.col("own"))).alias("i"), F.col("own").alias("j"))
+    pairs = left.join(right, [*group, "i", "j"]).where("i < j OR a < b")
+    return pairs.select(*group, F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
+def candidate_pairs(keys: DataFrame, max_bucket: int | None = None) -> DataFrame:
+    """Distinct pairs (a, b) that share a bucket.
 
-    So a bucket of n bags gives at most min(n**2 / 2, n - 1) pairs past the limit: connected components stay whole, and
-    pairs inside a large bucket that aren't linked directly are found again by ``expand_large`` when all pairs matter.
+    ``max_bucket`` is for callers that want links rather than pairs: a bucket of over so many bags only links each of them
+    to its smallest one. Those links aren't enough where candidates are verified, as one that fails takes its bag's others along.
     """
+    if max_bucket is None:
+        return _pairs_within(keys, ["band", "bucket"]).select("a", "b").distinct()
     sized = keys.join(keys.groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("bag_id").alias("least")), ["band", "bucket"])
-    sized = sized.where("n > 1")
-    few = sized.where(F.col("n") <= max_bucket)
-    pairs = few.select("band", "bucket", F.col("bag_id").alias("a")).join(few.select("band", "bucket", F.col("bag_id").alias("b")), ["band", "bucket"]).where("a < b").select("a", "b")
+    pairs = _pairs_within(sized.where(F.col("n") <= max_bucket).select("band", "bucket", "bag_id"), ["band", "bucket"]).select("a", "b")
     stars = sized.where((F.col("n") > max_bucket) & (F.col("bag_id") != F.col("least"))).select(F.col("least").alias("a"), F.col("bag_id").alias("b"))
     return pairs.unionByName(stars).distinct()
 
 
-def similarity_join(bags: DataFrame, sigs: DataFrame, m: int, tau: float, verify: bool = True, max_bucket: int = 64) -> DataFrame:
-    """(a, b, j) of candidate pairs whose exact (or estimated) similarity reaches tau; sizes that can't are dropped first."""
+def equal_bags(bags: DataFrame) -> DataFrame:
+    """(rep, bag_id): each bag and the smallest id of the bags equal to it, by 128 bits of hash and the number of elements."""
+    marks = bags.groupBy("bag_id").agg(F.bit_xor(F.xxhash64("elem", "weight")).alias("x"), F.bit_xor(F.xxhash64("weight", "elem", F.lit(1))).alias("y"), F.count("*").alias("n"))
+    reps = marks.groupBy("x", "y", "n").agg(F.min("bag_id").alias("rep"))
+    return marks.join(reps, ["x", "y", "n"]).select("rep", "bag_id")
+
+
+def class_pairs(bags: DataFrame, sigs: DataFrame, classes: DataFrame, m: int, tau: float, verify: bool = True) -> DataFrame:
+    """(a, b, j) between the representatives of different classes of equal bags."""
     bands, rows = plan_bands(m, tau)
-    pairs = candidate_pairs(band_keys(sigs, bands, rows), max_bucket)
+    reps = classes.select(F.col("rep").alias("bag_id")).distinct()
+    pairs = candidate_pairs(band_keys(sigs.join(reps, "bag_id", "left_semi"), bands, rows))
     size = totals(bags).select("bag_id", "total")
     pairs = pairs.join(size.select(F.col("bag_id").alias("a"), F.col("total").alias("ta")), "a").join(size.select(F.col("bag_id").alias("b"), F.col("total").alias("tb")), "b")
-    pairs = pairs.where(F.least("ta", "tb") >= tau * F.greatest("ta", "tb")).select("a", "b")
+    pairs = settle(pairs.where(F.least("ta", "tb") >= tau * F.greatest("ta", "tb")).select("a", "b"))
     scored = jaccard_exact(bags, pairs) if verify else estimate_pairs(sigs, pairs)
     return scored.where(F.col("j") >= tau)
 
 
+def similarity_join(bags: DataFrame, sigs: DataFrame, m: int, tau: float, verify: bool = True) -> DataFrame:
+    """(a, b, j) of all pairs in a bucket whose exact (or estimated) similarity reaches tau; sizes that can't are dropped first.
+
+    Equal bags are searched as one, and their pairs listed at the end.
+    """
+    classes = settle(equal_bags(bags))
+    within = _pairs_within(classes, ["rep"]).select("a", "b", F.lit(1.0).alias("j"))
+    across = class_pairs(bags, sigs, classes, m, tau, verify)
+    blocks = classes.groupBy("rep").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    members = classes.join(blocks, "rep").select("rep", "bag_id", F.pmod(F.xxhash64("bag_id", F.lit(11)), F.col("blocks")).cast("int").alias("own"))
+    for side in ("a", "b"):  # a block of each class at a time
+        across = across.join(blocks.select(F.col("rep").alias(side), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias(f"{side}_own")), side)
+    for side in ("a", "b"):
+        across = across.join(members.select(F.col("rep").alias(side), F.col("own").alias(f"{side}_own"), F.col("bag_id").alias(f"{side}_id")), [side, f"{side}_own"])
+    across = across.select(F.least("a_id", "b_id").alias("a"), F.greatest("a_id", "b_id").alias("b"), "j")
+    return within.unionByName(across)
+
+
+def similarity_links(bags: DataFrame, sigs: DataFrame, m: int, tau: float) -> DataFrame:
+    """(a, b) that connect what ``similarity_join`` connects: all pairs of classes, but each equal bag only to its representative."""
+    classes = settle(equal_bags(bags))
+    same = classes.where("rep <> bag_id").select(F.col("rep").alias("a"), F.col("bag_id").alias("b"))
+    return class_pairs(bags, sigs, classes, m, tau).select("a", "b").unionByName(same)
+
+
 def estimate_pairs(sigs: DataFrame, pairs: DataFrame) -> DataFrame:
     left, right = sigs.select(F.col("bag_id").alias("a"), F.col("sig").alias("sa")), sigs.select(F.col("bag_id").alias("b"), F.col("sig").alias("sb"))
     return pairs.join(left, "a").join(right, "b").select("a", "b", estimate_jaccard("sa", "sb").alias("j"))

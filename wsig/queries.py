@@ -613,7 +613,7 @@ def near_copies_quality(spark, d):
 @query()
 def document_clusters(spark, d):
     bags = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
-    pairs = lsh.similarity_join(bags, _doc_sigs(bags), 64, 0.8)
+    pairs = lsh.similarity_links(bags, _doc_sigs(bags), 64, 0.8)
     return lsh.components(bags.select(F.col("bag_id").alias("node")).distinct(), pairs)
 
 
