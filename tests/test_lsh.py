@@ -2,6 +2,7 @@
 
 import numpy as np
 
+from wsig.functions import estimate as E
 from wsig.functions.ladder import FloatLadder
 from wsig.operators import lp_kernel, lsh, poisson
 from wsig.operators.bags import wjaccard_all_pairs
@@ -38,3 +39,18 @@ def test_candidates_of_a_large_bucket_are_all_pairs(spark, monkeypatch):
     keys = spark.createDataFrame([(i, band, 5) for i in range(100) for band in (0, 1)], "bag_id long, band int, bucket long")
     rows = lsh.candidate_pairs(keys).collect()
     assert {(r.a, r.b) for r in rows} == {(a, b) for a in range(100) for b in range(a + 1, 100)} and len(rows) == 4950
+
+
+def test_pairs_at_the_threshold_are_found(spark):
+    """400 pairs of similarity 0.80 and 0.85."""
+    rows = [(2 * i + k, i * 1000 + e, 1.0) for i in range(400) for k in (0, 1) for e in [*range(80 + 5 * (i % 2)), *range(100 + 50 * k, 110 + 50 * k - 2 * (i % 2))]]
+    bags = lsh.settle(spark.createDataFrame(rows, "bag_id long, elem long, weight double"))
+    want = {(r.a, r.b) for r in wjaccard_all_pairs(bags).where("j >= 0.8").collect()}
+    got = {(r.a, r.b) for r in lsh.similarity_join(bags, signatures(bags), 64, 0.8).collect()}
+    assert len(want) == 400 and got <= want and len(got) >= 0.99 * len(want)
+
+
+def test_bands_keep_the_recall_asked_for():
+    for m, tau, recall in ((64, 0.8, 0.999), (64, 0.9, 0.999), (128, 0.5, 0.99), (16, 0.8, 0.9)):
+        bands, rows = E.bands_for_recall(m, tau, recall)
+        assert bands * rows <= m and E.collision_probability(tau, bands, rows) >= recall

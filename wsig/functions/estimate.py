@@ -91,3 +91,9 @@ def plan_bands(m: int, tau: float) -> tuple[int, int]:
     steep = [(abs((1 / b) ** (1 / r) - tau), b, r) for b, r in options if (1 / b) ** (1 / r) <= tau] or [(0.0, m, 1)]
     _, b, r = min(steep)
     return b, r
+
+
+def bands_for_recall(m: int, tau: float, recall: float = 0.999) -> tuple[int, int]:
+    """Bands and rows with the fewest false candidates that still find a pair of similarity tau with chance ``recall``."""
+    options = [(m // r, r) for r in range(m, 0, -1) if collision_probability(tau, m // r, r) >= recall]
+    return options[0] if options else (m, 1)

@@ -8,7 +8,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from wsig.functions.estimate import estimate_jaccard, plan_bands
+from wsig.functions.estimate import bands_for_recall, estimate_jaccard
 from wsig.operators.bags import jaccard_exact, totals
 
 BLOCK = 256
@@ -75,7 +75,7 @@ def equal_bags(bags: DataFrame) -> DataFrame:
 
 def class_pairs(bags: DataFrame, sigs: DataFrame, classes: DataFrame, m: int, tau: float, verify: bool = True) -> DataFrame:
     """(a, b, j) between the representatives of different classes of equal bags."""
-    bands, rows = plan_bands(m, tau)
+    bands, rows = bands_for_recall(m, tau)
     reps = classes.select(F.col("rep").alias("bag_id")).distinct()
     pairs = candidate_pairs(band_keys(sigs.join(reps, "bag_id", "left_semi"), bands, rows))
     size = totals(bags).select("bag_id", "total")
