@@ -76,3 +76,26 @@ def test_bisection_is_balanced():
     x = np.random.default_rng(1).normal(size=(4096, 5)).astype(np.float32)
     c = V.balanced_centroids(x, 16)
     assert c.shape == (16, 5)
+
+
+def test_repeated_rows_take_no_places():
+    rng = np.random.default_rng(6)
+    x, q = rng.normal(size=(300, 8)), rng.normal(size=(5, 8))
+    ids, asks = np.arange(300), np.array([0, 20, 400, 420, 440])
+
+    def brute_best(points, p_ids):
+        out = []
+        for a, v in zip(asks, q):
+            best = {}
+            for i, p in zip(p_ids, points):
+                if i != a:
+                    best[i] = max(best.get(i, -1e300), (p * v).sum())
+            out += [(a, i, s) for i, s in sorted(best.items(), key=lambda t: (-t[1], t[0]))[:20]]
+        return out
+
+    doubled = np.concatenate([x, x]), np.concatenate([ids, ids])
+    third = np.concatenate([x, q[2] + 0.1 * rng.normal(size=(150, 8))]), np.concatenate([ids, np.full(150, 7)])  # one id holds a third
+    for points, p_ids in (doubled, third):
+        order = rng.permutation(len(p_ids))
+        got = list(zip(*V.best_of(q, points[order], asks, p_ids[order], 20)))
+        assert got == brute_best(points, p_ids) and len(got) == 100

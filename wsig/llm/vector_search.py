@@ -197,18 +197,26 @@ def _dealt(rows: DataFrame, index: Index, deal: str, k: int) -> DataFrame:
 
 
 def best_of(queries: np.ndarray, points: np.ndarray, q_ids: np.ndarray, p_ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query id, point id, score) of the k best points of each query, ties to the smaller id, none with its own id."""
+    """(query id, point id, score) of the k best points of each query, ties to the smaller id, none with its own id.
+
+    An id's rows count as one before the k-th score is taken."""
     out = []
+    by_id = np.argsort(p_ids, kind="stable")
+    points, p_ids = points[by_id], p_ids[by_id]
+    starts = np.flatnonzero(np.r_[True, p_ids[1:] != p_ids[:-1]]) if len(p_ids) else np.zeros(0, np.int64)
+    ids, repeated = p_ids[starts], len(starts) < len(p_ids)
     for q, scores in zip(range(len(queries)), queries @ points.T):
-        scores = np.where(p_ids == q_ids[q], -np.inf, scores)
-        some = min(k, len(scores))
-        floor = np.partition(scores, len(scores) - some)[len(scores) - some]
+        best = np.where(ids == q_ids[q], -np.inf, np.maximum.reduceat(scores, starts) if repeated else scores)
+        some = min(k, len(best))
+        floor = np.partition(best, len(best) - some)[len(best) - some]
         slack = 1e-12 * max(1.0, np.abs(queries[q]).sum() * np.abs(points).max())
         near = np.flatnonzero((scores >= floor - slack) & (p_ids != q_ids[q]))
         exact = (points[near] * queries[q]).sum(axis=1)
         order = np.lexsort((p_ids[near], -exact))
-        _, first = np.unique(p_ids[near][order], return_index=True)
-        order = order[np.sort(first)][:k]
+        if repeated:
+            _, first = np.unique(p_ids[near][order], return_index=True)
+            order = order[np.sort(first)]
+        order = order[:k]
         out.append((np.full(len(order), q_ids[q]), p_ids[near][order], exact[order]))
     return tuple(np.concatenate(c) for c in zip(*out)) if out else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
 
