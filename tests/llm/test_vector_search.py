@@ -99,3 +99,26 @@ def test_repeated_rows_take_no_places():
         order = rng.permutation(len(p_ids))
         got = list(zip(*V.best_of(q, points[order], asks, p_ids[order], 20)))
         assert got == brute_best(points, p_ids) and len(got) == 100
+
+
+def test_recall_with_many_lists_and_long_vectors(spark, monkeypatch):
+    """250 lists in 64 dimensions: far more than 48 are within a query's reach. Three vectors are 50 times as long."""
+    monkeypatch.setattr(V, "LIST", 16)
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(4000, 64)).astype(np.float32)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    x[[5, 1001, 2503]] *= 50
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    index = V.fit(df, 64)
+    assert index.norm < 1.1 and len(index.graph.c) == 250
+    got = results(V.nearest(df, query_step=50))
+    scores = x.astype(float)[::50] @ x.astype(float).T
+    hit = 0
+    for n, row in enumerate(scores):
+        row[50 * n] = -np.inf
+        best = np.argsort(-row, kind="stable")[:20]
+        found = {j for _, j, _ in got[50 * n]}
+        hit += len(found & set(best.tolist()))
+        assert {5, 1001, 2503} & set(best.tolist()) <= found
+    assert hit >= 0.95 * 20 * len(scores)

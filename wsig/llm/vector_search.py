@@ -1,11 +1,11 @@
 """Operator 7, approximate nearest neighbours by inner product, with balanced posting lists.
 
-Inner product becomes Euclidean distance by one more dimension: data get sqrt(M**2 - |x|**2), M being the largest norm,
-and queries get 0. A sample of bounded size is bisected, again and again, at the median between two means, so the leaves
+Inner product becomes Euclidean distance by one more dimension: data get sqrt(M**2 - |x|**2), M being the norm that at
+most a thousandth exceed, and queries get 0. The few longer vectors are one more list that every query searches. A sample of bounded size is bisected, again and again, at the median between two means, so the leaves
 are balanced; their means are the centroids, at most ``MOST_LISTS``. Every vector goes to the list of its nearest
 centroid, and boundary vectors also to lists whose centroid is nearly as near, up to ``COPIES``. A query probes the
-lists whose centroid is within a ratio of its nearest. Centroids are found by a best-first walk on a neighbour graph
-held in memory, in batches. Lists of over ``BLOCK`` vectors and lists with over ``QUERIES`` queries are searched in tiles,
+lists whose centroid is within a ratio of its nearest, however many. Centroids are found by a best-first walk on a neighbour graph
+held in memory, in batches; a query with more lists in reach than the walk returns is compared with all. Lists of over ``BLOCK`` vectors and lists with over ``QUERIES`` queries are searched in tiles,
 so neither a hot list nor a hot query region makes one large task; scores are exact.
 
 Vectors that are null, zero, of another length than most, or hold null or non-finite components take no part, nor do
@@ -31,7 +31,7 @@ LIST, MOST_LISTS, COPIES = 256, 16384, 4
 SAMPLE_ROWS, SAMPLE_BYTES = 65_536, 32 << 20
 BLOCK, QUERIES = 4096, 1024
 #: A vector is copied to lists within this ratio of its nearest centroid's distance, a query probes within the other.
-COPY_RATIO, PROBE_RATIO, MOST_PROBES, BEAM, DEGREE = 1.08, 1.25, 48, 96, 24
+COPY_RATIO, PROBE_RATIO, WALK, BEAM, DEGREE = 1.08, 1.25, 48, 96, 24
 
 
 def usable(dim: int) -> Column:
@@ -138,45 +138,56 @@ class Index:
 
     def __init__(self, graph: Graph, norm: float, dim: int):
         self.graph, self.norm, self.dim = graph, norm, dim
-        self.sizes = np.zeros(len(graph.c), np.int64)
+        self.sizes = np.zeros(len(graph.c) + 1, np.int64)  # the last list holds the vectors over the norm
 
     def lists_of(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(row, list) pairs: the nearest list and, for boundary vectors, near ones."""
-        out = []
+        out, c = [], self.graph.c
         for i in range(0, len(x), 512):
-            ids, d = self.graph.search(lift(x[i : i + 512], self.norm, False), min(COPIES, len(self.graph.c)), 48)
+            ids, d = self.graph.search(lift(x[i : i + 512], self.norm, False), min(COPIES, len(c)), 48)
             near = (ids >= 0) & (d <= COPY_RATIO * d[:, :1])
             near[:, 0] = True
+            over = np.linalg.norm(x[i : i + 512], axis=1) > self.norm * (1 + 1e-9)
+            near[over, 1:] = False
+            ids[over, 0] = len(c)
             rows, at = np.nonzero(near)
             out.append((rows + i, ids[rows, at]))
         return (np.concatenate([a for a, _ in out]), np.concatenate([b for _, b in out])) if out else (np.zeros(0, int), np.zeros(0, int))
 
     def probes(self, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
         """(row, list) pairs to search: within the ratio, and more while they may hold fewer than k others."""
-        out = []
+        out, n = [], len(self.graph.c)
         for i in range(0, len(q), 512):
-            ids, d = self.graph.search(lift(q[i : i + 512], self.norm, True), min(MOST_PROBES, len(self.graph.c)))
-            held = np.where(ids >= 0, self.sizes[ids], 0)
-            before = np.cumsum(held, axis=1) - held
-            take = (ids >= 0) & ((d <= PROBE_RATIO * d[:, :1]) | (before < COPIES * (k + 1)))
-            short = np.flatnonzero((held * take).sum(axis=1) < COPIES * (k + 1))
-            rows, at = np.nonzero(take)
-            lists = ids[rows, at]
-            if len(short):  # too few in reach: every list
-                rest = ~np.isin(rows, short)
-                every = np.arange(len(self.sizes))
-                rows, lists = np.concatenate([rows[rest], np.repeat(short, len(every))]), np.concatenate([lists[rest], np.tile(every, len(short))])
-            out.append((rows + i, lists))
+            lifted = lift(q[i : i + 512], self.norm, True)
+            ids, d = self.graph.search(lifted, min(WALK, n))
+            wide = (ids[:, -1] >= 0) & (d[:, -1] <= PROBE_RATIO * d[:, 0]) & (n > ids.shape[1])
+            parts = [(np.flatnonzero(~wide), ids[~wide], d[~wide])]
+            if wide.any():
+                far = np.sqrt(np.maximum(0, self.graph.sq - 2 * lifted[wide] @ self.graph.c.T + (lifted[wide] ** 2).sum(axis=1, keepdims=True)))
+                order = np.argsort(far, axis=1, kind="stable")
+                parts.append((np.flatnonzero(wide), order, np.take_along_axis(far, order, 1)))
+            for who, ids, d in parts:
+                held = np.where(ids >= 0, self.sizes[ids], 0)
+                before = np.cumsum(held, axis=1) - held
+                take = (ids >= 0) & ((d <= PROBE_RATIO * d[:, :1]) | (before < COPIES * (k + 1)))
+                short = (held * take).sum(axis=1) < COPIES * (k + 1)  # too few in reach: every list
+                rows, at = np.nonzero(take & ~short[:, None])
+                out.append((who[rows] + i, ids[rows, at]))
+                out.append((np.repeat(who[short] + i, n), np.tile(np.arange(n), short.sum())))
+        if self.sizes[n]:
+            out.append((np.arange(len(q)), np.full(len(q), n)))
         return (np.concatenate([a for a, _ in out]), np.concatenate([b for _, b in out])) if out else (np.zeros(0, int), np.zeros(0, int))
 
 
 def fit(rows: DataFrame, dim: int) -> Index:
     """Centroids from a sample of at most SAMPLE_ROWS rows and SAMPLE_BYTES bytes, drawn by hash of the id."""
-    stats = rows.select(F.count("*").alias("n"), F.max(F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))).alias("norm")).first()
+    norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")))
+    stats = rows.select(F.count("*").alias("n"), F.percentile_approx(norm, 0.999, 20_000).alias("norm")).first()
     most = min(SAMPLE_ROWS, max(1024, SAMPLE_BYTES // (8 * dim)))
     share = most / stats["n"]
     sample = rows if share >= 1 else rows.where(F.pmod(F.xxhash64("vec_id", F.lit(5)), F.lit(1 << 30)) < int(share * (1 << 30))).limit(most)
     x = _matrix(sample.select("embedding").toArrow().column(0).combine_chunks(), dim)
+    x = x[np.linalg.norm(x, axis=1) <= stats["norm"] * (1 + 1e-9)]
     lists = max(1, min(MOST_LISTS, math.ceil(stats["n"] / LIST), len(x)))
     return Index(Graph(balanced_centroids(lift(x, stats["norm"], False), lists)), stats["norm"], dim)
 
@@ -225,12 +236,12 @@ def search(rows: DataFrame, queries: DataFrame, index: Index, k: int = K) -> Dat
     """query_id, vec_id and score: the k best that the probed lists hold, per query."""
     spark, dim = rows.sparkSession, index.dim
     postings, _ = shared.settle(_dealt(rows, index, "copies", k), "postings")
-    for r in postings.groupBy("list").count().collect():  # at most MOST_LISTS rows
+    for r in postings.groupBy("list").count().collect():  # at most MOST_LISTS + 1 rows
         index.sizes[r["list"]] = r["count"]
     asked, _ = shared.settle(_dealt(queries, index, "probes", k), "probes")
     n_asked = {r["list"]: r["count"] for r in asked.groupBy("list").count().collect()}
     blocks = [(i, math.ceil(int(n) / BLOCK), math.ceil(n_asked[i] / QUERIES)) for i, n in enumerate(index.sizes) if n and i in n_asked]
-    tiles = F.broadcast(spark.createDataFrame(blocks, "list int, p_blocks int, q_blocks int"))  # at most MOST_LISTS rows
+    tiles = F.broadcast(spark.createDataFrame(blocks, "list int, p_blocks int, q_blocks int"))  # at most MOST_LISTS + 1 rows
     block = lambda n: F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
     points = postings.join(tiles, "list").select("list", block("p_blocks").alias("pb"), every("q_blocks").alias("qb"), "vec_id", "embedding")
