@@ -59,5 +59,20 @@ def test_repetitive_words_and_the_shuffled_pick(spark, monkeypatch):
     assert any(r.n_removed and r.kept_text is not None for r in got)
 
 
+def test_anchors_of_many_classes_are_dealt_by_windows(spark, monkeypatch):
+    monkeypatch.setattr(S, "GROUP", 1)
+    check(spark, corpus(3, 3), 12, 3)
+    monkeypatch.setattr(S, "GROUP", 4)
+    check(spark, corpus(4, 4000), 50, 8)
+
+
+def test_stretches():
+    anchor, doc, n = np.array([5, 5, 5, 6]), np.array([2, 1, 3, 9]), np.array([3, 2, 4, 2])
+    w = np.array([10, 11, 12, 11, 12, 7, 10, 11, 8, 10, 11])
+    run, first, count = S.stretches(anchor, doc, n, w)
+    assert list(zip(run.tolist(), first.tolist(), count.tolist())) == [(0, 1, 2), (2, 1, 2)]
+    assert all(len(x) == 0 for x in S.stretches(anchor[:0], doc[:0], n[:0], w[:0]))
+
+
 def test_empty(spark):
     assert S.substring_dedup(spark.createDataFrame([], SCHEMA)).count() == 0

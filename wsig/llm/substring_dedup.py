@@ -6,9 +6,12 @@ joined across documents; those of one document only end here.
 
 Extension: a run reaches as far to both sides of its anchor as its windows do. Runs whose whole extent is equal form a
 class, and every run of a class but those of its first document is repeated whole; this settles copies of any number
-without pairing them. Where an anchor has several classes, the first runs of each are extended window by window: a
-window is repeated if its words also stand in a smaller document. Adjacent repeated windows merge into maximal repeats, each at least
-``WINDOW`` words long, and their words are removed. All steps are aggregates and equi-joins; none makes pairs.
+without pairing them. Where an anchor has several classes, the first run of each is extended to both sides as far as it
+agrees with a run of a smaller document: the runs of an anchor come together, one row each with the hashes of its
+windows, and leave as maximal stretches (document, first window, number of windows). An anchor with over ``GROUP``
+classes is dealt by the windows instead, so no task holds a large group. Stretches over the length threshold
+(all are, at one window or more) join to maximal repeats, and their words are removed. All steps are aggregates, equi-joins
+and sorts; none makes pairs.
 
 Runs, classes and windows are compared by 128 bits of hash. Null, empty and short texts have no window and stay. Rows without a doc_id stay whole and
 are nobody's source, as they have no place in the order; rows of one doc_id never remove from each other. Repeated rows
@@ -28,8 +31,10 @@ from wsig.llm import shared
 from wsig.llm.textscan import Scan, mix, run_hash, run_sums, steps, windows
 
 WINDOW, ANCHOR = 50, 8
-#: Documents whose keys are broadcast to pick texts; more are joined by a shuffle.
-MOST_KEYS = 2_000_000
+#: Documents whose keys (16 bytes each) are broadcast to pick texts; more are joined by a shuffle.
+MOST_KEYS = 500_000
+#: Runs of one anchor that one task extends together.
+GROUP = 1024
 _ROWS = "doc_id long, th long, n_words long, sha string, runs array<struct<anchor:long,cls:long,at:int,n:short>>"
 
 
@@ -86,8 +91,8 @@ def _texts(docs: DataFrame, keys: DataFrame) -> DataFrame:
     return _keyed(docs).join(keys, ["doc_id", "th"], "left_semi")
 
 
-def _windows(texts: DataFrame, runs: DataFrame, window: int) -> DataFrame:
-    """(wa, wb, doc_id, th, i) for each window of the given runs; texts are distinct by key."""
+def _reaches(texts: DataFrame, runs: DataFrame, window: int) -> DataFrame:
+    """(anchor, doc_id, th, at, w) for each of the given runs, w being the hashes of its windows; texts are distinct by key."""
 
     def run(batches):
         for batch in steps(batches):
@@ -96,17 +101,73 @@ def _windows(texts: DataFrame, runs: DataFrame, window: int) -> DataFrame:
             n_runs = np.diff(lists.offsets.to_numpy())
             items = lists.flatten()
             at, n = items.field("at").to_numpy(zero_copy_only=False).astype(np.int64), items.field("n").to_numpy(zero_copy_only=False).astype(np.int64)
-            doc = np.repeat(np.repeat(np.arange(len(n_runs)), n_runs), n)
-            i = np.repeat(at, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-            starts = scan.first_word[doc] + i
-            order = np.argsort(starts)
-            starts, doc, i = starts[order], doc[order], i[order]
-            wa, wb = (windows(scan.word_hash(s), starts, window, s) for s in (0, 1))
+            doc = np.repeat(np.arange(len(n_runs)), n_runs)
+            ends = np.cumsum(n)
+            starts = np.repeat(scan.first_word[doc] + at - (ends - n), n) + np.arange(int(n.sum()))
+            w = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], ends)).astype(np.int32)), pa.array(windows(scan.word_hash(1), starts, window, 1).view(np.int64)))
             take = pa.array(doc)
-            yield pa.RecordBatch.from_arrays([pa.array(wa.view(np.int64)), pa.array(wb.view(np.int64)), batch.column("doc_id").take(take), batch.column("th").take(take), pa.array(i.astype(np.int32))], ["wa", "wb", "doc_id", "th", "i"])
+            yield pa.RecordBatch.from_arrays([items.field("anchor"), batch.column("doc_id").take(take), batch.column("th").take(take), items.field("at"), w], ["anchor", "doc_id", "th", "at", "w"])
 
-    listed = runs.groupBy("doc_id", "th").agg(F.collect_list(F.struct("at", "n")).alias("runs"))
-    return texts.join(listed, ["doc_id", "th"]).select("doc_id", "th", "text", "runs").mapInArrow(run, "wa long, wb long, doc_id long, th long, i int")
+    listed = runs.groupBy("doc_id", "th").agg(F.collect_list(F.struct("anchor", "at", "n")).alias("runs"))
+    return texts.join(listed, ["doc_id", "th"]).select("doc_id", "th", "text", "runs").mapInArrow(run, "anchor long, doc_id long, th long, at int, w array<long>")
+
+
+def stretches(anchor: np.ndarray, doc: np.ndarray, n: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(run, first window, windows) of the stretches that runs share with a smaller document's run of the same anchor.
+
+    Run i has ``n[i]`` window hashes, end to end in ``w``; whole anchors at a time.
+    """
+    run = np.repeat(np.arange(len(n)), n)
+    place = np.arange(len(w)) - np.repeat(np.cumsum(n) - n, n)
+    a, d = anchor[run], doc[run]
+    order = np.lexsort((d, w, a))  # equal windows on end, the smallest document first
+    new = np.concatenate(([True], (a[order][1:] != a[order][:-1]) | (w[order][1:] != w[order][:-1]))) if len(w) else np.zeros(0, bool)
+    least = np.empty(len(w), doc.dtype)
+    firsts = np.flatnonzero(new)
+    least[order] = np.repeat(d[order][firsts], np.diff(np.append(firsts, len(w))))
+    again = least < d
+    begins = again & ~np.concatenate(([False], again[:-1] & (run[1:] == run[:-1])))[: len(w)]
+    stops = again & ~np.concatenate((again[1:] & (run[1:] == run[:-1]), [False]))[: len(w)]
+    b, e = np.flatnonzero(begins), np.flatnonzero(stops)
+    return run[b], place[b], e - b + 1
+
+
+_SPAN = "doc_id long, th long, at int, n short"
+
+
+def _extended(reaches: DataFrame) -> DataFrame:
+    """Stretches of the runs of anchors with at most GROUP runs each: whole anchors of a sorted partition at a time."""
+
+    def judge(table: pa.Table) -> pa.RecordBatch:
+        table = table.combine_chunks()
+        get = lambda c: table.column(c).chunk(0).to_numpy(zero_copy_only=False)
+        lists = table.column("w").chunk(0)
+        run, first, n = stretches(get("anchor"), get("doc_id"), np.diff(lists.offsets.to_numpy()).astype(np.int64), lists.flatten().to_numpy(zero_copy_only=False))
+        return pa.RecordBatch.from_arrays([pa.array(get("doc_id")[run]), pa.array(get("th")[run]), pa.array((get("at")[run] + first).astype(np.int32)), pa.array(n.astype(np.int16))], ["doc_id", "th", "at", "n"])
+
+    def run(batches):
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            held.append(batch)
+            keys = batch.column("anchor").to_numpy(zero_copy_only=False)
+            cut = int(np.searchsorted(keys, keys[-1]))
+            if cut:  # the last anchor may go on in the next batch
+                yield judge(pa.Table.from_batches([*held[:-1], batch.slice(0, cut)]))
+                held = [batch.slice(cut)]
+        if held:
+            yield judge(pa.Table.from_batches(held))
+
+    n = shared.slots(reaches.sparkSession)
+    return reaches.repartition(n, "anchor").sortWithinPartitions("anchor").mapInArrow(run, _SPAN)
+
+
+def _dealt(reaches: DataFrame) -> DataFrame:
+    """The same for anchors of any size, dealt by their windows."""
+    each = reaches.select("anchor", "doc_id", "th", "at", F.posexplode("w").alias("i", "w"))
+    firsts = each.groupBy("anchor", "w").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor", "w", "lo")
+    return each.join(firsts, ["anchor", "w"]).where("lo < doc_id").select("doc_id", "th", (F.col("at") + F.col("i")).alias("at"), F.lit(1).cast("short").alias("n"))
 
 
 def _cut(texts: DataFrame, repeats: DataFrame, window: int) -> DataFrame:
@@ -139,24 +200,27 @@ def repeats(docs: DataFrame, rows: DataFrame, window: int = WINDOW) -> DataFrame
     runs = rows.where("doc_id is not null").select("doc_id", "th", F.explode("runs").alias("r")).select("r.anchor", "r.cls", "doc_id", "th", "r.at", "r.n")
     ends = [f("doc_id").alias(a) for f, a in ((F.min, "lo"), (F.max, "hi"))] + [f("cls").alias(a) for f, a in ((F.min, "cls_lo"), (F.max, "cls_hi"))]
     # what is joined back on a skewed key is written first: a join of two exchanges is one whose large partitions Spark splits
-    seeds, _ = shared.settle(runs.groupBy("anchor").agg(*ends).where("lo < hi").select("anchor", (F.col("cls_lo") != F.col("cls_hi")).alias("several")), "anchors")
+    spark = docs.sparkSession
+    seeds, seeds_path = shared.settle(runs.groupBy("anchor").agg(*ends).where("lo < hi").select("anchor", (F.col("cls_lo") != F.col("cls_hi")).alias("several")), "anchors")
     hits, hits_path = shared.settle(runs.join(seeds, "anchor"), "anchor-hits")
-    classes, _ = shared.settle(hits.groupBy("anchor", "cls").agg(F.min("doc_id").alias("first")), "classes")
-    judged, _ = shared.settle(hits.join(classes, ["anchor", "cls"]).select("doc_id", "th", "at", "n", "first", "several"), "run-firsts")
-    shared.drop(docs.sparkSession, hits_path)
+    classes, classes_path = shared.settle(hits.groupBy("anchor", "cls").agg(F.min("doc_id").alias("first")), "classes")
+    judged, judged_path = shared.settle(hits.join(classes, ["anchor", "cls"]).select("anchor", "doc_id", "th", "at", "n", "first", "several"), "run-firsts")
+    shared.drop(spark, seeds_path, hits_path, classes_path)
     whole = judged.where("first < doc_id").select("doc_id", "th", "at", "n")
-    open_runs = judged.where("first = doc_id and several").select("doc_id", "th", "at", "n").distinct()
+    open_runs = judged.where("first = doc_id and several").select("anchor", "doc_id", "th", "at", "n").distinct()
     texts = _texts(docs, open_runs.select("doc_id", "th").distinct()).dropDuplicates(["doc_id", "th"])
-    each, _ = shared.settle(_windows(texts, open_runs, window), "windows")
-    firsts, _ = shared.settle(each.groupBy("wa", "wb").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("wa", "wb", "lo"), "window-firsts")
-    found = each.join(firsts, ["wa", "wb"]).where("lo < doc_id").select("doc_id", "th", F.col("i").alias("at"), F.lit(1).cast("short").alias("n"))
-    return whole.unionByName(found)
+    reaches, reaches_path = shared.settle(_reaches(texts, open_runs, window), "reaches")
+    large, large_path = shared.settle(reaches.groupBy("anchor").count().where(F.col("count") > GROUP).select("anchor"), "large-anchors")
+    found = whole.unionByName(_extended(reaches.join(large, "anchor", "left_anti"))).unionByName(_dealt(reaches.join(large, "anchor", "left_semi")))
+    out, _ = shared.settle(found.distinct(), "repeats")
+    shared.drop(spark, judged_path, reaches_path, large_path)
+    return out
 
 
 def substring_dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 and kept_text (null where nothing goes) for each row of ``docs``."""
     rows, _ = shared.settle(_scan_rows(docs, window, anchor), "runs")
-    found, _ = shared.settle(repeats(docs, rows, window).distinct(), "repeats")
+    found = repeats(docs, rows, window)
     keys, _ = shared.settle(found.select("doc_id", "th").distinct(), "repeat-keys")
     cut = _cut(_texts(docs, keys), found, window).select("doc_id", "n_words", "n_removed", F.col("sha").alias("kept_sha256"), "kept_text")
     same = rows.select("doc_id", "th", "n_words", "sha").join(keys, ["doc_id", "th"], "left_anti")
