@@ -38,10 +38,11 @@ def test_shard_random_access():
     out = io.BytesIO()
     w = K.Writer(out)
     for part in (docs[:3], docs[3:]):
-        w.add(np.concatenate(part), np.array([len(d) for d in part]))
+        w.add(np.concatenate(part), np.array([len(d) for d in part]), pa.array([None, *range(-1, len(part) - 2)], pa.int64()))
     w.close()
     r = K.Reader(pa.BufferReader(out.getvalue()))
     assert all((r.document(i) == d).all() for i, d in enumerate(docs))
+    assert r.doc_ids.to_pylist() == [None, -1, 0, None, -1, 0, 1]
     again = [(f, [*n], ids) for f, n, ids in r.documents(step=1)]
     assert np.concatenate([x for _, _, x in again]).tolist() == np.concatenate(docs).tolist()
 
@@ -54,7 +55,6 @@ def texts():
 
 def test_chunks_encode_like_the_whole_text():
     t = Tokenizer.from_file(PATH)
-    t.encode_special_tokens = True
     want = [e.ids for e in t.encode_batch(texts(), add_special_tokens=False)]
     for batch in (texts(), [x for x in texts() if x.strip() == x and "\t" not in x], [], ["", None]):
         ids, lengths = K.Encoder.of(PATH).encode(pa.array(batch, pa.string()), 2)
@@ -63,10 +63,15 @@ def test_chunks_encode_like_the_whole_text():
     assert len(want) == len(texts())
 
 
+def test_special_tokens_as_the_library_does():
+    ids, lengths = K.Encoder.of(PATH).encode(pa.array(["hello <|endoftext|> x", "a<|endoftext|>", "<|endoftext", "|>"]), 2)
+    t = Tokenizer.from_file(PATH)
+    assert lengths.tolist() == [len(t.encode(x, add_special_tokens=False).ids) + 1 for x in ("hello <|endoftext|> x", "a<|endoftext|>", "<|endoftext", "|>")] and lengths[0] == 5
+
+
 def test_files_against_direct_encoding(spark):
     rows = [(i * 3, t, 7, "clash") for i, t in enumerate(texts())] + [(None, "last", 0, None), (4, None, 0, None), (5, "word " * 60000, 0, None), (3, "again", 0, None)]
     t = Tokenizer.from_file(PATH)
-    t.encode_special_tokens = True
     got = K.token_files(spark.createDataFrame(rows, SCHEMA).repartition(5), PATH).collect()
     assert len(got) == len(rows)
     want = {}

@@ -4,17 +4,20 @@ Format of a shard, little-endian: magic ``PFOR1\\n\\0\\0``, then blocks, then th
 ``BLOCK`` ids: uint32 minimum, uint16 count, uint8 width, uint8 zero, uint16 exceptions, uint16 zero; the low ``width``
 bits of each (id - minimum), packed from the lowest bit up; then the exceptions, as uint16 places and uint32 values
 (id - minimum). The width is what the block's 90th percentile needs, or one at which the block is smaller. The index is
-a uint64 for each block's byte start and a uint64 for each document's first id, with the number of ids at its end. The footer holds
+a uint64 for each block's byte start, a uint64 for each document's first id, with the number of ids at its end, an int64 for each
+document's doc_id and a bit for each that says whether it has one. The footer holds
 five uint64: blocks, documents, ids, the index's byte start and a checksum of the blocks. So an id, a block or a
 document can be reached without reading what is before it.
 
 Documents are range-sorted by doc_id (null last; equal ids by text), each task writes one shard into the folder that the
 cluster shares, under a name of its own attempt, and returns its manifest row. A lost or repeated attempt leaves a file
-that no manifest names. Null and empty texts are one end id. An empty table has no shards and no rows.
+that no manifest names. Shards follow the table's bytes, so neither a shard's index nor a task's memory grows with the table.
+Tokens are those of the library, its special tokens included where a text holds one. Null and empty texts are one end id. An empty table has no shards and no rows.
 """
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
 
@@ -82,6 +85,7 @@ class Writer:
         self.out, self.rest, self.at, self.crc = out, np.zeros(0, np.uint32), len(MAGIC), 0
         self.blocks: list[int] = []
         self.firsts: list[np.ndarray] = []
+        self.doc_ids: list[pa.Array] = []
         self.n = self.docs = 0
         out.write(MAGIC)
 
@@ -92,7 +96,8 @@ class Writer:
         self.crc = zlib.crc32(data, self.crc)
         self.out.write(data)
 
-    def add(self, ids: np.ndarray, lengths: np.ndarray) -> None:
+    def add(self, ids: np.ndarray, lengths: np.ndarray, doc_ids: pa.Array) -> None:
+        self.doc_ids.append(doc_ids)
         self.firsts.append(self.n + np.cumsum(lengths) - lengths)
         self.docs += len(lengths)
         self.n += len(ids)
@@ -106,7 +111,9 @@ class Writer:
         if len(self.rest):
             self._block(self.rest)
         firsts = np.concatenate([*self.firsts, [self.n]]).astype("<u8")
-        self.out.write(np.array(self.blocks, "<u8").tobytes() + firsts.tobytes())
+        doc_ids = pa.chunked_array(self.doc_ids, pa.int64())
+        named = np.packbits(doc_ids.is_valid().to_numpy().astype(bool), bitorder="little")
+        self.out.write(np.array(self.blocks, "<u8").tobytes() + firsts.tobytes() + doc_ids.fill_null(0).to_numpy().astype("<i8").tobytes() + named.tobytes())
         self.out.write(np.array([len(self.blocks), self.docs, self.n, self.at, self.crc], "<u8").tobytes())
 
 
@@ -118,9 +125,12 @@ class Reader:
         self.n_blocks, self.n_docs, self.n, self.index_at, self.crc = (int(x) for x in np.frombuffer(self._at(size - 40, 40), "<u8"))
         if self._at(0, len(MAGIC)) != MAGIC:
             raise ValueError("not a token-id shard")
-        index = np.frombuffer(self._at(self.index_at, 8 * (self.n_blocks + self.n_docs + 1)), "<u8").astype(np.int64)
+        end = self.index_at + 8 * (self.n_blocks + 2 * self.n_docs + 1)
+        index = np.frombuffer(self._at(self.index_at, end - self.index_at), "<u8").astype(np.int64)
+        named = np.unpackbits(np.frombuffer(self._at(end, -(-self.n_docs // 8)), np.uint8), count=self.n_docs, bitorder="little").astype(bool)
         self.starts = np.append(index[: self.n_blocks], self.index_at)
-        self.firsts = index[self.n_blocks :]
+        self.firsts = index[self.n_blocks : self.n_blocks + self.n_docs + 1]
+        self.doc_ids = pa.array(index[self.n_blocks + self.n_docs + 1 :], mask=~named)
 
     def _at(self, place: int, n: int) -> bytes:
         self.file.seek(place)
@@ -160,7 +170,8 @@ class Encoder:
     In a text whose white space is single spaces and line feeds, the pre-tokenizer always cuts before these, so encoding
     the chunks that begin with them apart gives the ids of the whole text. Chunks are found and told apart by hash in
     numpy; the different ones are encoded many at a time as one text, whose ids are cut again where a token begins with a
-    space (or a line feed): no other token holds one. Other texts are encoded whole. A worker keeps its encoder.
+    space (or a line feed): no other token holds one. Other texts, and those that hold an added token, are encoded whole.
+    A worker keeps its encoder.
     """
 
     def __init__(self, path: str):
@@ -170,7 +181,9 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values() if t.content]
+        #: A normalizer, or an added token with white space, may reach over a chunk's edge.
+        self.by_chunk = self.tokenizer.normalizer is None and not any(re.search(r"\s", t) for t in self.added)
         names = [self.tokenizer.id_to_token(i) or "" for i in range(self.tokenizer.get_vocab_size())]
         self.begins = {lead: np.array([x.startswith(sign) for x in names]) for lead, sign in ((" ", "Ġ"), ("\n", "Ċ"))}
 
@@ -206,7 +219,7 @@ class Encoder:
     def encode(self, column: pa.Array, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts end to end, each with its end id, and each text's number of ids."""
         scan = Scan(column)
-        odd = irregular(scan)
+        odd = irregular(scan) | holding(scan, self.added) if self.by_chunk else np.ones(len(scan.n_words), bool)
         keep = np.flatnonzero(~odd[scan.doc])
         doc, starts, ends = scan.doc[keep], scan.starts[keep], scan.ends[keep]
         starts = np.where(starts > scan.offsets[doc], starts - 1, starts)  # with the white space before
@@ -277,6 +290,18 @@ def irregular(scan: Scan) -> np.ndarray:
     return scan.per_doc(odd) > 0
 
 
+def holding(scan: Scan, marks: list[str]) -> np.ndarray:
+    """Documents that hold one of the strings."""
+    out, whole = np.zeros(len(scan.n_words), bool), scan.bytes.tobytes()
+    for mark in (m.encode() for m in marks):
+        at = whole.find(mark)
+        while at >= 0:
+            doc = int(np.searchsorted(scan.offsets, at, "right")) - 1
+            out[doc] = True
+            at = whole.find(mark, at + 1)
+    return out
+
+
 def _open(path: str, write: bool):
     from pyarrow import fs
 
@@ -287,7 +312,12 @@ def _open(path: str, write: bool):
     return store.open_input_file(inside)
 
 
-_MANIFEST = "shard long, path string, n_docs long, n_ids long, doc_ids binary"
+_MANIFEST = "shard long, path string, n_docs long, n_ids long"
+
+
+def shards(docs: DataFrame) -> int:
+    """As many as the scan has splits, which follow the table's bytes, and not fewer than the session's shuffle partitions."""
+    return max(shared.slots(docs.sparkSession), docs.select("doc_id").rdd.getNumPartitions())
 
 
 def write_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int = END_ID) -> DataFrame:
@@ -297,28 +327,22 @@ def write_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int
     def run(batches):
         from pyspark import TaskContext
 
-        encoder, writer, ids_of_docs, path = None, None, [], ""
+        encoder, writer, path = None, None, ""
         for batch in steps(batches, size=CHUNKED):
             if encoder is None:
                 encoder = Encoder.of(tokenizer_path)
                 path = f"{folder}/part-{uuid.uuid4().hex}.pfor"
                 sink = _open(path, True)
                 writer = Writer(sink)
-            writer.add(*encoder.encode(batch.column("text"), end_id))
-            ids_of_docs.append(batch.column("doc_id"))
+            writer.add(*encoder.encode(batch.column("text"), end_id), batch.column("doc_id"))
         if writer is not None:
             writer.close()
             sink.close()
-            column = pa.chunked_array(ids_of_docs).combine_chunks()
-            buffer = pa.BufferOutputStream()
-            table = pa.table({"doc_id": column})
-            with pa.ipc.new_stream(buffer, table.schema) as stream:
-                stream.write_table(table)
-            row = [[TaskContext.get().partitionId()], [path], [writer.docs], [writer.n], [buffer.getvalue().to_pybytes()]]
-            yield pa.RecordBatch.from_arrays([pa.array(row[0], pa.int64()), pa.array(row[1]), pa.array(row[2], pa.int64()), pa.array(row[3], pa.int64()), pa.array(row[4], pa.binary())], ["shard", "path", "n_docs", "n_ids", "doc_ids"])
+            row = [TaskContext.get().partitionId(), path, writer.docs, writer.n]
+            yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip(row, (pa.int64(), pa.string(), pa.int64(), pa.int64()))], ["shard", "path", "n_docs", "n_ids"])
 
     order = [F.asc_nulls_last("doc_id"), F.xxhash64("text")]
-    rows = docs.select(F.col("doc_id").cast("long"), "text").repartitionByRange(shared.slots(spark), *order).sortWithinPartitions(*order)
+    rows = docs.select(F.col("doc_id").cast("long"), "text").repartitionByRange(shards(docs), *order).sortWithinPartitions(*order)
     manifest, _ = shared.settle(rows.mapInArrow(run, _MANIFEST), "token-manifest")
     return manifest
 
@@ -335,15 +359,14 @@ def read_shards(manifest: DataFrame) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for path, base, packed in zip(batch.column("path").to_pylist(), batch.column("base").to_pylist(), batch.column("doc_ids").to_pylist(), strict=True):
-                doc_ids = pa.ipc.open_stream(packed).read_all().column(0).combine_chunks()
+            for path, base in zip(batch.column("path").to_pylist(), batch.column("base").to_pylist(), strict=True):
                 with _open(path, False) as file:
                     reader = Reader(file)
                     for first, lengths, ids in reader.documents():
                         data, cuts = np.ascontiguousarray(ids, "<u4"), np.cumsum(lengths) - lengths
                         crc = [zlib.crc32(data[a : a + n]) for a, n in zip(cuts, lengths)]
                         start = base + reader.firsts[first : first + len(lengths)]
-                        yield pa.RecordBatch.from_arrays([doc_ids[first : first + len(lengths)], pa.array(start), pa.array(lengths), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+                        yield pa.RecordBatch.from_arrays([reader.doc_ids[first : first + len(lengths)], pa.array(start), pa.array(lengths), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
     n = max(1, min(len(counts), shared.slots(spark)))
     return manifest.join(offsets, "shard").repartition(n).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
