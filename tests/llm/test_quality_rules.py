@@ -30,7 +30,8 @@ def test_base_counts(texts):
 
 
 def brute_kneser_ney(grams, counts):
-    """Interpolated modified Kneser-Ney by dictionaries; grams are 4-tuples of classes."""
+    """Interpolated modified Kneser-Ney by dictionaries; grams are tuples of classes."""
+    order = Q.ORDER
 
     def smooth(c):
         n = [max(1, sum(v == i for v in c.values())) for i in range(1, 5)]
@@ -42,44 +43,63 @@ def brute_kneser_ney(grams, counts):
             left[g[:-1]] = left.get(g[:-1], 0) + d[min(v, 3)]
         return c, d, total, left
 
-    levels = []
-    for m in (1, 2, 3):
+    levels = {order: smooth(dict(zip(grams, counts)))}
+    for m in range(order - 1, 0, -1):
         c = {}
-        for g in {g[3 - m :] for g in grams}:
+        for g in {g[order - m - 1 :] for g in grams}:
             c[g[1:]] = c.get(g[1:], 0) + 1
-        levels.append(smooth(c))
-    levels.append(smooth(dict(zip(grams, counts))))
-
-    def p(gram, level):
-        if level < 0:
-            return 1 / 64
-        c, d, total, left = levels[level]
-        h = gram[3 - level : -1] if level < 3 else gram[:-1]
-        g = (*h, gram[-1])
-        low = p(gram, level - 1)
+        levels[m] = smooth(c)
+
+    def p(gram):
+        if not gram:
+            return 1 / 4096
+        c, d, total, left = levels[len(gram)]
+        h, low = gram[:-1], p(gram[1:])
         if h not in total:
             return low
-        v = c.get(g, 0)
+        v = c.get(gram, 0)
         return (v - d[min(v, 3)]) / total[h] + left[h] / total[h] * low
 
-    return lambda gram: p(gram, 3)
+    return p
+
+
+def split(key):
+    return tuple(int(key) >> Q.BITS * (Q.ORDER - 1 - i) & 4095 for i in range(Q.ORDER))
 
 
-def test_model_is_kneser_ney_and_sums_to_one():
+def test_model_is_kneser_ney_and_sums_to_one(spark, monkeypatch):
     rng = np.random.default_rng(2)
-    text = "".join(rng.choice(list("abc d."), 600, p=[0.3, 0.2, 0.1, 0.2, 0.1, 0.1]))
-    data = np.frombuffer(text.encode(), np.uint8)
-    keys, n = Q.gram_keys(data, np.array([0, 250, 600]))
-    assert n.tolist() == [250, 350]
-    seen, counts = np.unique(keys, return_counts=True)
-    m = Q.Model(seen, counts)
-    split = lambda k: tuple(int(k) >> 6 * (3 - i) & 63 for i in range(4))
-    p = brute_kneser_ney([split(k) for k in seen], counts.tolist())
-    some = np.concatenate([seen[:60], rng.integers(0, 1 << 24, 60).astype(np.uint32)]).astype(np.uint32)
-    assert np.allclose(np.exp(m.score(some)), [p(split(k)) for k in some], rtol=1e-4)
-    for context in (int(seen[5]) >> 6, 12345):
-        every = (np.uint32(context) << np.uint32(6)) | np.arange(64, dtype=np.uint32)
-        assert abs(np.exp(m.score(every)).sum() - 1) < 1e-4
+    letters = lambda k: "".join(rng.choice(list("abc dЖ."), k, p=[0.3, 0.2, 0.1, 0.2, 0.1, 0.05, 0.05]))
+    texts = [(letters(300), "x"), (letters(500), "x"), (letters(200), None), ("", "x"), (None, "y")]
+    docs = spark.createDataFrame([(i, t, x) for i, (t, x) in enumerate(texts)], "doc_id long, text string, lang string").repartition(2)
+    for shard, held in ((Q.SHARD, Q.HELD), (60, 50)):
+        monkeypatch.setattr(Q, "SHARD", shard)
+        monkeypatch.setattr(Q, "HELD", held)
+        files = Q.train(docs)
+        assert files.keys() == {"1x", "0"} and (len(files["1x"]) > 2) == (shard == 60)
+        models = Q.Models(files)
+        for lang, own in (("1x", texts[:2]), ("0", texts[2:3])):
+            keys = np.concatenate([Q.gram_keys(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t.encode())]))[0] for t, _ in own])
+            seen, counts = np.unique(keys, return_counts=True)
+            p = brute_kneser_ney([split(k) for k in seen], counts.tolist())
+            odd = rng.choice([97, 98, 32, 0x416, 4000], (80, Q.ORDER)).astype(np.uint64)
+            some = np.concatenate([seen, sum(odd[:, i] << np.uint64(Q.BITS * (Q.ORDER - 1 - i)) for i in range(Q.ORDER))])
+            assert np.allclose(np.exp(models.score(some, lang)), [p(split(k)) for k in some], rtol=1e-4)
+        context = seen[5] >> np.uint64(Q.BITS)
+        every = (context << np.uint64(Q.BITS)) | np.arange(4096, dtype=np.uint64)
+        assert abs(np.exp(models.score(every, "0")).sum() - 1) < 1e-4
+    assert Q.Models(files).score(seen[:3], "1unheard").tolist() == [Q._UNIFORM] * 3
+
+
+def test_grams_end_at_each_character():
+    text = "Ab\tж9\n日é" + "xy"
+    raw = np.frombuffer(text.encode(), np.uint8)
+    cut = len("Ab\tж9\n日é".encode())
+    keys, n = Q.gram_keys(raw, np.array([0, cut, cut, len(raw)]))
+    assert n.tolist() == [8, 0, 2]
+    e = Q.EDGE
+    assert split(keys[0]) == (e, e, e, e, 65) and split(keys[4]) == (65, 98, 32, 0x436, 48) and split(keys[8]) == (e, e, e, e, 120)
+    assert split(keys[6])[-1] >= 0x800 and split(keys[7])[-1] == 0xE9
 
 
 def test_query_edges_and_groups(spark, monkeypatch):
@@ -91,8 +111,9 @@ def test_query_edges_and_groups(spark, monkeypatch):
     df = spark.createDataFrame(rows, SCHEMA).repartition(3)
     want = {r[0]: brute(r[1]) for r in rows if r[0] != 904}
     results = []
-    for limit in (Q.MODEL_BYTES, 1):
+    for limit, shard in ((Q.MODEL_BYTES, Q.SHARD), (1, 3000)):
         monkeypatch.setattr(Q, "MODEL_BYTES", limit)
+        monkeypatch.setattr(Q, "SHARD", shard)
         got = Q.quality_rules(df).collect()
         assert len(got) == len(rows)
         by = {r.doc_id: r for r in got}

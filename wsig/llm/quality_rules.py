@@ -1,10 +1,12 @@
 """Operator 1, quality rules: n-gram perplexity under a corpus-counted model, with bands for each language.
 
-Spark counts all character-class 4-grams of all documents. From these counts an interpolated modified Kneser-Ney
-model is made for each language and kept in sorted hash arrays: the seen 4-grams ascend by a 24-bit key, which is an
-exact hash, since the alphabet is folded to 64 classes; a rank bitmap for each context finds a key's place. The model
-of a language has at most 64**4 entries whatever the corpus, which bounds what is sent to the executors; languages
-are scored in groups whose models together stay under ``MODEL_BYTES``.
+Spark counts the character n-grams (1 to ``ORDER``) of all documents and makes from them, in joins and aggregates, an interpolated
+modified Kneser-Ney model for each language: log probabilities of the seen n-grams and the weights by which their contexts pass to
+shorter ones. Characters are code points (case and digits folded; from U+0800 on hashed to 2048 classes), so a model grows with
+the corpus and its scripts and has no fixed size. Its entries are dealt to shards of about ``SHARD`` by the two characters before
+the last, which all but the shortest n-grams of a place share, and each shard is a file of sorted hash arrays in the folder that the
+cluster shares: 64-bit keys, a bijection of the n-gram, with their values, and a directory by leading bits. Tasks
+score the distinct n-grams of a step of text shard by shard and hold at most ``MODEL_BYTES`` of shards; neither the driver nor a broadcast holds a model.
 
 A document is kept if it passes the base rules and its log perplexity lies within its language's band
 (median minus/plus a number of robust standard deviations, wider for shorter texts, as their mean log probability
@@ -14,62 +16,84 @@ Repeated rows are judged alike, each for itself. An empty table gives an empty r
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from wsig.llm import shared
-from wsig.llm.textscan import Scan, mix, steps, windows
+from wsig.llm.textscan import STEP, Scan, as_bytes, mix, steps, windows
 
-BITS, ORDER = 6, 4
-CONTEXTS = 1 << BITS * (ORDER - 1)
-#: Bytes of model arrays that one broadcast may hold.
-MODEL_BYTES = 256 << 20
+BITS, ORDER = 12, 5
+#: Entries of a shard, and bytes of shards that a worker holds.
+SHARD, MODEL_BYTES = 4_000_000, 192 << 20
+#: Distinct n-grams that a counting task holds before it passes them on.
+HELD = 2_000_000
 #: Robust standard deviations from a language's median that a document's log perplexity may lie off.
 BAND = (4.0, 4.5)
 MIN_WORDS, REPEAT_WINDOW, MAX_REPEAT_PERCENT = 20, 8, 30
 SYMBOLS = b"#*$%&|<>"
-_PLAIN = ".,;:!?'\"()-/"
+EDGE = 10
+_CLASS = (1 << BITS) - 1
+_PAIR = (1 << 2 * BITS) - 1
+#: An entry's code: n-gram (60 bits), its length (3 bits), and a sign for contexts.
+_LENGTH, _CONTEXT = 60, 1 << 63
+_UNIFORM = -float(np.log(1 << BITS))
 
 
 def classes() -> np.ndarray:
-    """Class of every code point: letters, capitals, digits, white space, marks, accented and other letters, symbols."""
-    out = np.empty(0x110000, np.uint8)
-    points = np.arange(0x110000)
-    out[:] = 54 + points % 8
-    out[0xC0:0x250] = 42 + points[0xC0:0x250] % 12
-    out[:0xC0] = 62 + points[:0xC0] % 2
-    out[ord("a") : ord("z") + 1] = np.arange(26)
-    out[ord("A") : ord("Z") + 1] = 26
-    out[ord("0") : ord("9") + 1] = 27
-    out[ord(" ")] = out[9] = 28
-    out[10:14] = 29
-    for i, c in enumerate(_PLAIN):
-        out[ord(c)] = 30 + i
+    """Class of every code point: itself up to U+07FF, with capitals, digits and line ends folded; a hash of it beyond."""
+    out = np.arange(0x110000, dtype=np.uint64)
+    out[0x800:] = 0x800 + ((out[0x800:] * np.uint64(2654435761)) >> np.uint64(7)) % np.uint64(0x800)
+    for i in range(0x800):
+        c = chr(i)
+        out[i] = ord("A") if c.isupper() else ord("0") if c.isdigit() else i
+    out[9] = 0x20
+    out[10:14] = EDGE
     return out
 
 
 _CLASSES = classes()
-EDGE = 29
 
 
-def gram_keys(text: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The 4-gram key that ends at each character, and each document's number of characters."""
+def gram_keys(text: np.ndarray, offsets: np.ndarray, order: int = ORDER) -> tuple[np.ndarray, np.ndarray]:
+    """The key of the n-gram that ends at each character, and each document's number of characters."""
     points = np.frombuffer(text.tobytes().decode("utf-8", "replace").encode("utf-32-le"), np.uint32)
     leads = np.zeros(len(text) + 1, np.int64)
     np.cumsum((text & 0xC0) != 0x80, out=leads[1:])
     n = np.diff(leads[offsets])
     doc = np.repeat(np.arange(len(n)), n)
-    at = np.arange(len(points)) + (ORDER - 1) * (doc + 1)
-    line = np.full(len(points) + (ORDER - 1) * (len(n) + 1), EDGE, np.uint32)
+    at = np.arange(len(points)) + (order - 1) * (doc + 1)
+    line = np.full(len(points) + (order - 1) * (len(n) + 1), EDGE, np.uint64)
     line[at] = _CLASSES[points]
-    keys = np.zeros(len(points), np.uint32)
-    for back in range(ORDER):
-        keys |= line[at - back] << np.uint32(BITS * back)
+    keys = np.zeros(len(points), np.uint64)
+    for back in range(order):
+        keys |= line[at - back] << np.uint64(BITS * back)
     return keys, n
 
 
+def language(lang: str | None) -> str:
+    """A language's name in the model: null differs from every string."""
+    return "0" if lang is None else "1" + lang
+
+
+def by_language(batch: pa.RecordBatch) -> dict[str, np.ndarray]:
+    """Rows of each language of a batch."""
+    order: dict[str, list[int]] = {}
+    for i, x in enumerate(batch.column("lang").to_pylist()):
+        order.setdefault(language(x), []).append(i)
+    return {k: np.array(v) for k, v in order.items()}
+
+
+def _of_rows(keys: np.ndarray, n: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    """The keys of some documents, end to end."""
+    lengths = n[rows]
+    firsts = (np.cumsum(n) - n)[rows]
+    return keys[np.arange(int(lengths.sum())) + np.repeat(firsts - (np.cumsum(lengths) - lengths), lengths)]
+
+
 def tally(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Sums of counts by key, keys ascending."""
     order = np.argsort(keys, kind="stable")
@@ -79,29 +103,21 @@ def tally(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 
 class Counter:
-    """4-gram counts by language of the documents that one task has seen."""
+    """n-gram counts by language of the documents that one task has seen since it last passed them on."""
 
     def __init__(self):
-        self.parts: dict[str | None, list[tuple[np.ndarray, np.ndarray]]] = {}
+        self.parts: dict[str, list[tuple[np.ndarray, np.ndarray]]] = {}
+        self.held = 0
 
     def add(self, batch: pa.RecordBatch) -> None:
-        langs = batch.column("lang").to_pylist()
-        scan_bytes, offsets = _bytes(batch)
-        keys, n = gram_keys(scan_bytes, offsets)
-        place: dict[str | None, int] = {}
-        local = np.array([place.setdefault(x, len(place)) for x in langs], np.uint64)
-        both = np.sort(np.repeat(local, n) << np.uint64(32) | keys)
-        if not len(both):
-            return
-        new = np.flatnonzero(np.concatenate(([True], both[1:] != both[:-1])))
-        counts = np.diff(np.append(new, len(both)))
-        both = both[new]
-        for lang, i in place.items():
-            lo, hi = np.searchsorted(both, [np.uint64(i) << np.uint64(32), np.uint64(i + 1) << np.uint64(32)])
+        keys, n = gram_keys(*as_bytes(batch.column("text")))
+        for lang, rows in by_language(batch).items():
             mine = self.parts.setdefault(lang, [])
-            mine.append((both[lo:hi].astype(np.uint32), counts[lo:hi]))
-            if len(mine) > 24:
-                self.parts[lang] = [self._sum(mine)]
+            mine.append(np.unique(_of_rows(keys, n, rows), return_counts=True))
+            self.held += len(mine[-1][0])
+        if self.held > HELD:
+            self.parts = {lang: [self._sum(mine)] for lang, mine in self.parts.items()}
+            self.held = sum(len(mine[0][0]) for mine in self.parts.values())
 
     @staticmethod
     def _sum(parts):
@@ -110,93 +126,213 @@ class Counter:
     def rows(self):
         for lang, parts in self.parts.items():
             keys, counts = self._sum(parts)
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys), pa.string()), pa.array(keys.astype(np.int32)), pa.array(counts.astype(np.int64))], ["lang", "gram", "n"])
-
-
-def _bytes(batch):
-    from wsig.llm.textscan import as_bytes
-
-    return as_bytes(batch.column("text"))
+            for i in range(0, len(keys), 1 << 16):
+                k, c = keys[i : i + (1 << 16)], counts[i : i + (1 << 16)]
+                yield pa.RecordBatch.from_arrays([pa.array([lang]).take(pa.array(np.zeros(len(k), np.int32))), pa.array(k.view(np.int64)), pa.array(c.astype(np.int64))], ["lang", "gram", "n"])
+        self.parts, self.held = {}, 0
 
 
 def count_grams(docs: DataFrame) -> DataFrame:
-    """(lang, gram, n) over all documents: each task sums its own 4-grams before the shuffle."""
+    """(lang, gram, n) over all documents: each task sums its own n-grams before the shuffle."""
 
     def run(batches):
         counter = Counter()
         for batch in steps(batches):
             counter.add(batch)
+            if counter.held > HELD // 2:  # even after summing
+                yield from counter.rows()
         yield from counter.rows()
 
-    part = docs.select("lang", "text").mapInArrow(run, "lang string, gram int, n long")
+    part = docs.select("lang", "text").mapInArrow(run, "lang string, gram long, n long")
     return part.groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
-def _discounts(counts: np.ndarray) -> np.ndarray:
-    """Modified Kneser-Ney discounts of counts 0, 1, 2 and 3 or more."""
-    n = [max(1, int((counts == i).sum())) for i in range(1, 5)]
-    y = n[0] / (n[0] + 2 * n[1])
-    return np.clip([0.0] + [i + 1 - (i + 2) * y * n[i + 1] / n[i] for i in range(3)], 0.0, [0.0, 0.95, 1.9, 2.85])
+def _discounts(level: DataFrame) -> DataFrame:
+    """(lang, d1, d2, d3): modified Kneser-Ney discounts of counts 1, 2 and 3 or more, a row for each language."""
+    number = [F.greatest(F.lit(1), F.sum((F.col("n") == i).cast("long"))).alias(f"n{i}") for i in range(1, 5)]
+    rows = level.groupBy("lang").agg(*number).withColumn("y", F.col("n1") / (F.col("n1") + 2 * F.col("n2")))
+    d = [F.least(F.lit(most), F.greatest(F.lit(0.0), F.lit(i) - F.lit(i + 1) * F.col("y") * F.col(f"n{i + 1}") / F.col(f"n{i}"))).alias(f"d{i}") for i, most in ((1, 0.95), (2, 1.9), (3, 2.85))]
+    return rows.select("lang", *d)
+
+
+def _low(gram: str, m: int) -> Column:
+    """The last m characters of n-grams."""
+    return F.col(gram).bitwiseAND(F.lit((1 << BITS * m) - 1))
+
+
+def smoothed(level: DataFrame, m: int, lower: DataFrame | None) -> DataFrame:
+    """(lang, gram, p, context, weight) of the m-grams of ``level`` (lang, gram, n), interpolated with the (m - 1)-grams of ``lower``."""
+    d = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
+    rows = level.join(_discounts(level), "lang").select("lang", "gram", "n", d.alias("d"), F.shiftright("gram", BITS).alias("context"))
+    sums = rows.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("d").alias("left"))
+    rows = rows.join(sums, ["lang", "context"]).withColumn("weight", F.col("left") / F.col("total"))
+    own = (F.col("n") - F.col("d")) / F.col("total")
+    if lower is None:
+        return rows.select("lang", "gram", (own + F.col("weight") / F.lit(float(1 << BITS))).alias("p"), "context", "weight")
+    shorter = lower.select("lang", F.col("gram").alias("short"), F.col("p").alias("p_short"))
+    return rows.withColumn("short", _low("gram", m - 1)).join(shorter, ["lang", "short"]).select("lang", "gram", (own + F.col("weight") * F.col("p_short")).alias("p"), "context", "weight")
 
 
-class Model:
-    """Interpolated modified Kneser-Ney over 4-grams of one language.
+def entries(counts: DataFrame) -> DataFrame:
+    """(lang, code, value, pair) of all languages' models: log probabilities of n-grams and log weights of contexts.
 
-    ``keys`` ascend and ``log_p`` stands beside them; ``first`` and ``mask`` give, for each context, the place of its
-    first key and a bit for each class that follows it. ``back`` is the context's weight for the shorter history and
-    ``lower`` the trigram model, both complete.
+    ``pair`` is the two characters by which an entry is dealt to a shard, null if every shard has it.
     """
+    spark = counts.sparkSession
+    levels, paths = {}, []
 
-    def __init__(self, keys: np.ndarray, counts: np.ndarray):
-        order = np.argsort(keys)
-        keys, counts = keys[order].astype(np.int64), counts[order].astype(np.int64)
-        width = 1 << BITS
-        lower = np.full(1, 1.0 / width)
-        for m in range(1, ORDER):  # continuation counts: how many different classes precede
-            grams = np.unique(keys & ((1 << BITS * (m + 1)) - 1))
-            kept, preceded = np.unique(grams & ((1 << BITS * m) - 1), return_counts=True)
-            p, weight = self._smooth(kept, preceded, m)
-            dense = np.zeros(1 << BITS * m)
-            dense[kept] = p
-            spread = np.tile(lower.reshape(-1), 1) if m == 1 else lower
-            context = np.arange(1 << BITS * m) >> BITS
-            shorter = np.arange(1 << BITS * m) & ((1 << BITS * (m - 1)) - 1) if m > 1 else np.zeros(width, np.int64)
-            lower = dense + weight[context] * spread[shorter]
-        p, weight = self._smooth(keys, counts, ORDER)
-        self.keys = keys.astype(np.uint32)
-        self.log_p = np.log(p + weight[keys >> BITS] * lower[keys & (CONTEXTS - 1)]).astype(np.float32)
-        self.back = np.log(np.maximum(weight, 1e-12)).astype(np.float32)
-        self.lower = np.log(np.maximum(lower, 1e-12)).astype(np.float32)
-        self.first = np.searchsorted(keys, np.arange(CONTEXTS) << BITS).astype(np.int32)
-        self.mask = np.zeros(CONTEXTS, np.uint64)
-        np.bitwise_or.at(self.mask, keys >> BITS, np.uint64(1) << (keys & (width - 1)).astype(np.uint64))
+    def keep(df: DataFrame, tag: str) -> DataFrame:
+        out, path = shared.settle(df, tag)
+        paths.append(path)
+        return out
+
+    levels[ORDER] = keep(counts, f"grams-{ORDER}")
+    for m in range(ORDER - 1, 0, -1):  # how many different characters come before
+        levels[m] = keep(levels[m + 1].groupBy("lang", _low("gram", m).alias("gram")).agg(F.count("*").alias("n")), f"grams-{m}")
+    lower, parts = None, []
+    for m in range(1, ORDER + 1):
+        lower = keep(smoothed(levels[m], m, lower), f"smoothed-{m}")
+        pair = lambda c, some: c.bitwiseAND(F.lit(_PAIR)) if some else F.lit(None).cast("long")
+        parts.append(lower.select("lang", F.col("gram").bitwiseOR(F.lit(m << _LENGTH)).alias("code"), F.log("p").cast("float").alias("value"), pair(F.shiftright("gram", BITS), m > 2).alias("pair")))
+        contexts = lower.groupBy("lang", "context").agg(F.max("weight").alias("weight"))
+        code = F.col("context").bitwiseOR(F.lit(((m - 1) << _LENGTH | _CONTEXT) - (1 << 64)))
+        parts.append(contexts.select("lang", code.alias("code"), F.log(F.greatest("weight", F.lit(1e-12))).cast("float").alias("value"), pair(F.col("context"), m > 2).alias("pair")))
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    out, _ = shared.settle(out, "model-entries")
+    shared.drop(spark, *paths)
+    return out
 
-    @staticmethod
-    def _smooth(grams: np.ndarray, counts: np.ndarray, m: int) -> tuple[np.ndarray, np.ndarray]:
-        """Discounted probabilities of the grams, and every context's left-over weight (1 where nothing was seen)."""
-        d = _discounts(counts)
-        size = 1 << BITS * (m - 1)
-        context = grams >> BITS
-        total = np.bincount(context, counts, size)
-        off = d[np.minimum(counts, 3)]
-        left = np.bincount(context, off, size)
-        seen = total > 0
-        weight = np.where(seen, left / np.where(seen, total, 1), 1.0)
-        return (counts - off) / total[context], weight
+
+def _spread(pair, shards):
+    """The shard of a pair of characters, as write_model deals them."""
+    return (pair * 40503 >> 8) % shards
+
+
+def _store(path: str, data: tuple[np.ndarray, np.ndarray] | None = None):
+    """Writes or reads a shard: the number of entries, the ascending keys, the values."""
+    from pyarrow import fs
+
+    store, inside = fs.FileSystem.from_uri(path)
+    if data is not None:
+        store.create_dir(inside.rpartition("/")[0], recursive=True)
+        with store.open_output_stream(inside) as out:
+            out.write(np.array([len(data[0])], "<u8").tobytes() + data[0].astype("<u8").tobytes() + data[1].astype("<f4").tobytes())
+        return None
+    with store.open_input_stream(inside) as file:
+        raw = file.read()
+    n = int(np.frombuffer(raw, "<u8", 1)[0])
+    return np.frombuffer(raw, "<u8", n, 8), np.frombuffer(raw, "<f4", n, 8 + 8 * n)
+
+
+def write_model(counts: DataFrame) -> dict[str, list[tuple[str, int]]]:
+    """Writes the models' shards; returns each language's files in order of shard, and their numbers of entries."""
+    spark = counts.sparkSession
+    made = entries(counts)
+    shards = made.groupBy("lang").agg(F.ceil(F.count("*") / SHARD).cast("int").alias("shards"))
+    own = F.when(F.col("pair").isNotNull(), F.array(F.shiftright(F.col("pair") * 40503, 8) % F.col("shards"))).otherwise(F.sequence(F.lit(0).cast("long"), F.col("shards").cast("long") - 1))
+    dealt = made.join(shards, "lang").select("lang", F.explode(own).alias("shard"), "code", "value")
+    folder = shared.new_path(spark, "model")
+
+    def run(batches):
+        held, key = [], None
+
+        def close():
+            codes = mix(np.concatenate([c for c, _ in held]).view(np.uint64))
+            order = np.argsort(codes)
+            path = f"{folder}/{uuid.uuid4().hex}.grams"
+            _store(path, (codes[order], np.concatenate([v for _, v in held])[order]))
+            return pa.RecordBatch.from_arrays([pa.array([x]) for x in (*key, path, len(codes))], ["lang", "shard", "path", "n"])
+
+        for batch in batches:
+            langs, numbers = batch.column("lang").to_pylist(), batch.column("shard").to_numpy()
+            code, value = batch.column("code").to_numpy(), batch.column("value").to_numpy()
+            edges = [0, *[i for i in range(1, len(langs)) if langs[i] != langs[i - 1] or numbers[i] != numbers[i - 1]], len(langs)]
+            for a, b in zip(edges, edges[1:]):
+                if b > a:
+                    if key is not None and key != (langs[a], int(numbers[a])):
+                        yield close()
+                        held = []
+                    key = (langs[a], int(numbers[a]))
+                    held.append((code[a:b], value[a:b]))
+        if held:
+            yield close()
+
+    sorted_rows = dealt.repartition(shared.slots(spark), "lang", "shard").sortWithinPartitions("lang", "shard")
+    manifest, _ = shared.settle(sorted_rows.mapInArrow(run, "lang string, shard long, path string, n long"), "model-manifest")
+    out: dict[str, list[tuple[str, int]]] = {}
+    for r in manifest.orderBy("lang", "shard").collect():  # a row for each language and each SHARD entries
+        out.setdefault(r["lang"], []).append((r["path"], r["n"]))
+    return out
+
+
+class Table:
+    """A shard's sorted hash array, found through a directory of the keys' leading bits."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        self.keys, self.values = np.append(keys, np.uint64((1 << 64) - 1)), np.append(values, np.float32(0))
+        bits = max(1, len(keys).bit_length())
+        self.shift = np.uint64(64 - bits)
+        self.first = np.searchsorted(keys, np.arange(1 << bits, dtype=np.uint64) << self.shift).astype(np.int32)
+
+    def find(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Whether each code is there, and its value."""
+        h = mix(codes)
+        at = self.first[(h >> self.shift).astype(np.int64)]
+        behind = np.flatnonzero(self.keys[at] < h)
+        while len(behind):
+            at[behind] += 1
+            behind = behind[self.keys[at[behind]] < h[behind]]
+        return (self.keys[at] == h) & (at < len(self.keys) - 1), self.values[at]
+
+
+class Models:
+    """Scores n-grams by shards that are read when needed."""
+
+    def __init__(self, files: dict[str, list[tuple[str, int]]], read=None):
+        self.files, self.read = files, read or (lambda path: Table(*_store(path)))
+        self.kept: dict[str, Table] = {}
 
     @property
     def nbytes(self) -> int:
-        return sum(x.nbytes for x in (self.keys, self.log_p, self.back, self.lower, self.first, self.mask))
-
-    def score(self, keys: np.ndarray) -> np.ndarray:
-        """Log probability of the last class of each 4-gram given the three before it."""
-        context = keys >> np.uint32(BITS)
-        last = (keys & np.uint32((1 << BITS) - 1)).astype(np.uint64)
-        mask = self.mask[context]
-        place = self.first[context] + np.bitwise_count(mask & ((np.uint64(1) << last) - np.uint64(1)))
-        seen = (mask >> last) & np.uint64(1) > 0
-        out = self.back[context] + self.lower[keys & np.uint32(CONTEXTS - 1)]
-        out[seen] = self.log_p[place[seen]]
+        return 20 * sum(n for shards in self.files.values() for _, n in shards)
+
+    def table(self, path: str, n: int) -> Table:
+        if path not in self.kept:
+            while self.kept and 20 * (n + sum(len(t.keys) for t in self.kept.values())) > MODEL_BYTES:
+                self.kept.pop(next(iter(self.kept)))
+            self.kept[path] = self.read(path)
+        return self.kept[path]
+
+    def score(self, grams: np.ndarray, lang: str) -> np.ndarray:
+        """Log probability of the last character of each n-gram given those before it."""
+        files = self.files.get(lang, [])
+        if not len(files):
+            return np.full(len(grams), _UNIFORM)
+        if len(files) == 1:
+            return self._score(grams, self.table(*files[0]))
+        out = np.zeros(len(grams))
+        shard = _spread(((grams >> np.uint64(BITS)) & np.uint64(_PAIR)).astype(np.int64), len(files))
+        for i, file in enumerate(files):
+            mine = np.flatnonzero(shard == i)
+            if len(mine):
+                out[mine] = self._score(grams[mine], self.table(*file))
+        return out
+
+    @staticmethod
+    def _score(grams: np.ndarray, table: Table) -> np.ndarray:
+        out, left = np.zeros(len(grams)), np.arange(len(grams))
+        for m in range(ORDER, 0, -1):
+            short = grams[left] & np.uint64((1 << BITS * m) - 1)
+            seen, value = table.find(short | np.uint64(m << _LENGTH))
+            out[left[seen]] += value[seen]
+            left, short = left[~seen], short[~seen]
+            if not len(left):
+                return out
+            known, weight = table.find((short >> np.uint64(BITS)) | np.uint64((m - 1) << _LENGTH | _CONTEXT))
+            out[left[known]] += weight[known]
+        out[left] += _UNIFORM
         return out
 
 
@@ -235,35 +371,33 @@ _MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_word
 _SCORED = ", ".join(f"{c} {'double' if c == 'log_ppl' else 'long'}" for c in _MEASURES)
 
 
-def _measure(batch: pa.RecordBatch, models: dict) -> dict[str, np.ndarray]:
+def _measure(batch: pa.RecordBatch, models: Models) -> dict[str, np.ndarray]:
     """Base counts and log perplexity of a batch's rows."""
     scan = Scan(batch.column("text"))
     out = base_rules(scan)
     keys, n = gram_keys(scan.bytes, scan.offsets)
-    ends = np.cumsum(n)
     total = np.zeros(len(n))
-    order: dict = {}
-    for i, x in enumerate(batch.column("lang").to_pylist()):
-        order.setdefault(x, []).append(i)
-    for lang, rows in order.items():
-        rows = np.array(rows)
-        lengths = n[rows]
-        if not lengths.sum():
+    for lang, rows in by_language(batch).items():
+        if not n[rows].sum():
             continue
-        firsts = (ends - n)[rows]
-        skip = np.repeat(firsts - (np.cumsum(lengths) - lengths), lengths)
-        sums = np.zeros(int(lengths.sum()) + 1)
-        np.cumsum(models[lang].score(keys[np.arange(len(skip)) + skip]), dtype=np.float64, out=sums[1:])
-        total[rows] = np.diff(sums[np.append(0, np.cumsum(lengths))])
+        grams, which = np.unique(_of_rows(keys, n, rows), return_inverse=True)
+        sums = np.zeros(len(which) + 1)
+        np.cumsum(models.score(grams, lang)[which], out=sums[1:])
+        total[rows] = np.diff(sums[np.append(0, np.cumsum(n[rows]))])
     return out | {"log_ppl": np.where(n > 0, -total / np.maximum(n, 1), np.nan), "n_chars_scored": n}
 
 
-def _score(docs: DataFrame, models: dict) -> DataFrame:
-    sent = docs.sparkSession.sparkContext.broadcast(models)
+def _sized(files: dict) -> int:
+    """Bytes of text of a scoring step: more where shards have to be read again for each step."""
+    return STEP if Models(files).nbytes <= MODEL_BYTES else 8 * STEP
+
+
+def score(docs: DataFrame, files: dict) -> DataFrame:
+    """Base counts and log perplexity for each document."""
 
     def run(batches):
-        models = sent.value
-        for batch in steps(batches):
+        models = Models(files)
+        for batch in steps(batches, size=_sized(files)):
             m = _measure(batch, models)
             columns = [pa.array(m[c], from_pandas=True) if c == "log_ppl" else pa.array(m[c].astype(np.int64)) for c in _MEASURES]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("lang"), *columns], ["doc_id", "lang", *_MEASURES])
@@ -271,53 +405,9 @@ def _score(docs: DataFrame, models: dict) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "lang", "text").mapInArrow(run, f"doc_id long, lang string, {_SCORED}")
 
 
-def train(docs: DataFrame) -> dict:
-    """A Kneser-Ney model for each language, made from counts over all documents."""
-    rows = count_grams(docs).toArrow()
-    models = {}
-    if rows.num_rows:
-        names = rows.column("lang").combine_chunks().dictionary_encode()
-        which = names.indices.fill_null(len(names.dictionary)).to_numpy()
-        gram, n = rows.column("gram").to_numpy(), rows.column("n").to_numpy()
-        for i, lang in [*enumerate(names.dictionary.to_pylist()), (len(names.dictionary), None)]:
-            mine = which == i
-            if mine.any():
-                models[lang] = Model(gram[mine], n[mine])
-    return models
-
-
-def _in_groups(models: dict) -> list[dict]:
-    groups: list[dict] = [{}]
-    size = 0
-    for lang, model in models.items():
-        if size and size + model.nbytes > MODEL_BYTES:
-            groups.append({})
-            size = 0
-        groups[-1][lang] = model
-        size += model.nbytes
-    return groups
-
-
-def _of_group(docs: DataFrame, models: dict, groups: list[dict], i: int) -> DataFrame:
-    """The rows whose language is in group i; languages without any text are in the first."""
-    if len(groups) == 1:
-        return docs
-    group = groups[i]
-    named = [x for x in group if x is not None]
-    every = [x for x in models if x is not None]
-    among = lambda names, null: F.when(F.col("lang").isNull(), F.lit(null)).otherwise(F.col("lang").isin(names) if names else F.lit(False))
-    here = among(named, None in group)
-    return docs.where(here | ~among(every, None in models) if i == 0 else here)
-
-
-def score(docs: DataFrame, models: dict) -> DataFrame:
-    """Base counts and log perplexity for each document; languages in groups of bounded model size."""
-    groups = _in_groups(models)
-    parts = [_score(_of_group(docs, models, groups, i), group) for i, group in enumerate(groups)]
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.unionByName(part)
-    return out
+def train(docs: DataFrame) -> dict[str, list[tuple[str, int]]]:
+    """The files of a Kneser-Ney model for each language, made from counts over all documents."""
+    return write_model(count_grams(docs))
 
 
 #: Standard deviation of one character's log probability, for the band of short texts.
@@ -334,48 +424,37 @@ def base_failed() -> Column:
     return (F.col("n_words") < MIN_WORDS) | (F.lit(100) * F.col("n_repeat_words") > F.lit(MAX_REPEAT_PERCENT) * F.col("n_words"))
 
 
-def _judged(docs: DataFrame, band: tuple[float, float]) -> tuple[dict, DataFrame, list, tuple[Column, Column, Column]]:
-    """Models, measures of all rows, the languages' bands, and columns that judge a row of measures."""
-    models = train(docs)
-    scored, path = shared.settle(score(docs, models), "scored")
-    limits = bands(scored).collect()  # a row for each language that has a model
-    if limits:
-        wide = lambda side, sign: [F.when(F.col("lang").eqNullSafe(F.lit(r["band_lang"])), F.lit(r["middle"]) + sign * band[side] * F.sqrt(F.lit(r["spread"] ** 2) + F.lit(CHAR_SD**2) / F.greatest(F.col("n_chars_scored"), F.lit(1)))) for r in limits]
-        low, high = F.coalesce(*wide(0, -1)), F.coalesce(*wide(1, 1))
-    else:
-        low = high = F.lit(None).cast("double")
-    return models, scored, limits, (low, high, base_failed())
+def _judged(docs: DataFrame, band: tuple[float, float]) -> tuple[dict, DataFrame, DataFrame]:
+    """The models' files, measures of all rows, and the languages' bands."""
+    files = train(docs)
+    scored, _ = shared.settle(score(docs, files), "scored")
+    return files, scored, bands(scored)
 
 
 def quality_rules(docs: DataFrame, band: tuple[float, float] = BAND) -> DataFrame:
     """One row for each row of ``docs``: doc_id, lang, base counts, log_ppl, the band's edges, base_failed and kept."""
-    _, scored, _, (low, high, failed) = _judged(docs, band)
-    out = scored.withColumns({"low": low, "high": high, "base_failed": failed})
+    _, scored, limits = _judged(docs, band)
+    limits, _ = shared.settle(limits, "bands")
+    rows = scored.join(limits, F.col("lang").eqNullSafe(F.col("band_lang")), "left")
+    edge = lambda side, sign: F.col("middle") + sign * band[side] * F.sqrt(F.col("spread") ** 2 + F.lit(CHAR_SD**2) / F.greatest(F.col("n_chars_scored"), F.lit(1)))
+    out = rows.select(*scored.columns, edge(0, -1).alias("low"), edge(1, 1).alias("high"), base_failed().alias("base_failed"))
     inside = F.coalesce(F.col("log_ppl").between(F.col("low"), F.col("high")), F.lit(False))
     return out.withColumn("kept", ~F.col("base_failed") & inside)
 
 
 def keep_good(docs: DataFrame, band: tuple[float, float] = BAND) -> DataFrame:
     """Rows of ``docs`` that quality_rules keeps, judged where their text is read, so no text is shuffled."""
-    models, _, limits, _ = _judged(docs, band)
-    columns, parts = docs.columns, []
-    groups = _in_groups(models)
-    edges = {r["band_lang"]: (r["middle"], r["spread"]) for r in limits}
-    for i, group in enumerate(groups):
-        sent = docs.sparkSession.sparkContext.broadcast((group, edges))
-
-        def run(batches, sent=sent):
-            models, edges = sent.value
-            for batch in steps(batches):
-                m = _measure(batch, models)
-                middle, spread = np.array([edges.get(x, (np.nan, np.nan)) for x in batch.column("lang").to_pylist()], float).T
-                width = np.sqrt(spread**2 + CHAR_SD**2 / np.maximum(m["n_chars_scored"], 1))
-                good = (m["log_ppl"] >= middle - band[0] * width) & (m["log_ppl"] <= middle + band[1] * width)
-                good &= (m["n_words"] >= MIN_WORDS) & (100 * m["n_repeat_words"] <= MAX_REPEAT_PERCENT * m["n_words"])
-                yield batch.filter(pa.array(good))
-
-        parts.append(_of_group(docs, models, groups, i).select(columns).mapInArrow(run, docs.schema))
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.unionByName(part)
-    return out
+    files, _, limits = _judged(docs, band)
+    edges = {language(r["band_lang"]): (r["middle"], r["spread"]) for r in limits.collect()}  # a row for each language
+
+    def run(batches):
+        models = Models(files)
+        for batch in steps(batches, size=_sized(files)):
+            m = _measure(batch, models)
+            middle, spread = np.array([edges.get(language(x), (np.nan, np.nan)) for x in batch.column("lang").to_pylist()], float).T
+            width = np.sqrt(spread**2 + CHAR_SD**2 / np.maximum(m["n_chars_scored"], 1))
+            good = (m["log_ppl"] >= middle - band[0] * width) & (m["log_ppl"] <= middle + band[1] * width)
+            good &= (m["n_words"] >= MIN_WORDS) & (100 * m["n_repeat_words"] <= MAX_REPEAT_PERCENT * m["n_words"])
+            yield batch.filter(pa.array(good))
+
+    return docs.mapInArrow(run, docs.schema)

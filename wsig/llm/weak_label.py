@@ -133,8 +133,8 @@ def _counted(part: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def features(scan: Scan) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sparse rows: document, hashed 4-gram, square root of its count, each document of norm 1."""
-    keys, n = gram_keys(scan.bytes, scan.offsets)
-    doc, at, count = _counted(np.repeat(np.arange(len(n), dtype=np.uint64), n) << np.uint64(32) | mix(keys.astype(np.uint64)) & np.uint64(_SIZE - 1))
+    keys, n = gram_keys(scan.bytes, scan.offsets, 4)
+    doc, at, count = _counted(np.repeat(np.arange(len(n), dtype=np.uint64), n) << np.uint64(32) | mix(keys) & np.uint64(_SIZE - 1))
     value = np.sqrt(count.astype(float))
     norm = np.sqrt(np.bincount(doc, value**2, len(n)))
     return doc, at, (value / np.maximum(norm[doc], 1e-12)).astype(np.float32)
