@@ -91,15 +91,29 @@ def test_model_is_kneser_ney_and_sums_to_one(spark, monkeypatch):
     assert Q.Models(files).score(seen[:3], "1unheard").tolist() == [Q._UNIFORM] * 3
 
 
-def test_grams_end_at_each_character():
-    text = "Ab\tж9\n日é" + "xy"
-    raw = np.frombuffer(text.encode(), np.uint8)
-    cut = len("Ab\tж9\n日é".encode())
-    keys, n = Q.gram_keys(raw, np.array([0, cut, cut, len(raw)]))
+def test_grams_end_at_each_character(monkeypatch):
+    first = "Ab\tж9\n日é"
+    raw = np.frombuffer((first + "xy").encode(), np.uint8)
+    offsets = np.array([0, len(first.encode()), len(first.encode()), len(raw)])
+    keys, n = Q.gram_keys(raw, offsets, 5)
     assert n.tolist() == [8, 0, 2]
-    e = Q.EDGE
-    assert split(keys[0]) == (e, e, e, e, 65) and split(keys[4]) == (65, 98, 32, 0x436, 48) and split(keys[8]) == (e, e, e, e, 120)
-    assert split(keys[6])[-1] >= 0x800 and split(keys[7])[-1] == 0xE9
+    e, parts = Q.EDGE, lambda k: tuple(int(k) >> 12 * (4 - i) & 4095 for i in range(5))
+    assert parts(keys[0]) == (e, e, e, e, 65) and parts(keys[4]) == (65, 98, 32, 0x436, 48) and parts(keys[8]) == (e, e, e, e, 120)
+    assert parts(keys[6])[-1] >= 0x800 and parts(keys[7])[-1] == 0xE9
+    for dense in (Q.DENSE, 30, 0):
+        monkeypatch.setattr(Q, "DENSE", dense)
+        for order in (1, 3, 5):
+            grams, which, m = Q.distinct_grams(raw, offsets, order)
+            assert grams[which].tolist() == Q.gram_keys(raw, offsets, order)[0].tolist() and m.tolist() == n.tolist()
+
+
+def test_passages_in_another_language_are_no_fault(spark):
+    rng = np.random.default_rng(5)
+    prose = lambda letters, k: " ".join("".join(rng.choice(list(letters), rng.integers(2, 8))) for _ in range(k))
+    rows = [(i, prose("etaoinsr" if i % 2 else "жищуклмд", 150), ("en", "ru")[1 - i % 2]) for i in range(200)]
+    rows += [(500, prose("etaoinsr", 100) + " " + prose("жищуклмд", 60), "en")]
+    got = {r.doc_id: r for r in Q.quality_rules(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert got[500].log_ppl < got[500].high
 
 
 def test_query_edges_and_groups(spark, monkeypatch):

@@ -30,6 +30,16 @@ def test_held_out_accuracy(spark):
     assert unseen.where("toxic = 0 and flagged").count() <= 0.02 * unseen.where("toxic = 0").count()
 
 
+def test_what_is_drawn_depends_on_the_rows_alone(spark, monkeypatch):
+    monkeypatch.setattr(W, "SAMPLE", 60)
+    monkeypatch.setattr(W, "LABELLED", 40)
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    docs = docs.unionByName(docs.where("doc_id < 90"))
+    strays = spark.range(10**6, 10**6 + 500).selectExpr("id AS doc_id", "0 AS quality", "1 AS toxic")
+    runs = [sorted(map(tuple, W.weak_label_quality(docs.repartition(n), labels.unionByName(strays).repartition(n)).collect())) for n in (3, 7)]
+    assert runs[0] == runs[1] and len(runs[0]) == docs.count() and all(r[5] is not None for r in runs[0])
+
+
 def test_edges(spark):
     schema = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("score", T.StringType()), T.StructField("label", T.StringType())])
     text = " ".join(f"the w{i} of and" for i in range(50))

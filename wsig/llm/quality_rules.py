@@ -8,7 +8,8 @@ the last, which all but the shortest n-grams of a place share, and each shard is
 cluster shares: 64-bit keys, a bijection of the n-gram, with their values, and a directory by leading bits. Tasks
 score the distinct n-grams of a step of text shard by shard and hold at most ``MODEL_BYTES`` of shards; neither the driver nor a broadcast holds a model.
 
-A document is kept if it passes the base rules and its log perplexity lies within its language's band
+A stretch of ``STRETCH`` characters counts under the language that reads it best, so that passages quoted from another language are no
+fault of a document. A document is kept if it passes the base rules and its log perplexity lies within its language's band
 (median minus/plus a number of robust standard deviations, wider for shorter texts, as their mean log probability
 varies more). Null language: a language of its own. Null or empty text: no words, so the base rules reject it.
 Repeated rows are judged alike, each for itself. An empty table gives an empty result. Other columns are ignored.
@@ -26,13 +27,18 @@ from pyspark.sql import functions as F
 from wsig.llm import shared
 from wsig.llm.textscan import STEP, Scan, as_bytes, mix, steps, windows
 
-BITS, ORDER = 12, 5
+BITS, ORDER = 12, 3
+# The order is 3: the corpus's own junk is counted with the rest, and longer n-grams learn to read it.
 #: Entries of a shard, and bytes of shards that a worker holds.
 SHARD, MODEL_BYTES = 4_000_000, 192 << 20
 #: Distinct n-grams that a counting task holds before it passes them on.
 HELD = 2_000_000
-#: Robust standard deviations from a language's median that a document's log perplexity may lie off.
-BAND = (4.0, 4.5)
+#: Codes that are numbered by a table rather than by sorting.
+DENSE = 1 << 23
+#: Characters of a stretch that is scored under the language that reads it best, among the document's and the ``READ`` with the largest models.
+STRETCH, READ = 64, 8
+#: Robust standard deviations from a language's median that a document's log perplexity may lie off, below and above.
+BAND = (4.0, 3.0)
 MIN_WORDS, REPEAT_WINDOW, MAX_REPEAT_PERCENT = 20, 8, 30
 SYMBOLS = b"#*$%&|<>"
 EDGE = 10
@@ -74,6 +80,43 @@ def gram_keys(text: np.ndarray, offsets: np.ndarray, order: int = ORDER) -> tupl
     return keys, n
 
 
+def distinct_grams(text: np.ndarray, offsets: np.ndarray, order: int = ORDER) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The different n-grams, which of them ends at each character, and each document's number of characters.
+
+    Characters, pairs, triples ... are numbered one after the other, so that no n-gram needs sorting while its number times
+    the alphabet stays small.
+    """
+    points = np.frombuffer(text.tobytes().decode("utf-8", "replace").encode("utf-32-le"), np.uint32)
+    leads = np.zeros(len(text) + 1, np.int64)
+    np.cumsum((text & 0xC0) != 0x80, out=leads[1:])
+    n = np.diff(leads[offsets])
+    at = np.arange(len(points)) + (order - 1) * (np.repeat(np.arange(len(n)), n) + 1)
+    line = np.full(len(points) + (order - 1) * (len(n) + 1), EDGE, np.int64)
+    line[at] = _CLASSES[points]
+    alphabet, own = _numbered(line, 1 << BITS)
+    grams, which = alphabet.astype(np.uint64), own
+    for _ in range(1, order):
+        code = np.empty(len(own), np.int64)
+        code[0] = 0
+        np.multiply(which[:-1], len(alphabet), out=code[1:])
+        code += own
+        seen, which = _numbered(code, len(grams) * len(alphabet))
+        grams = (grams[seen // len(alphabet)] << np.uint64(BITS)) | alphabet[seen % len(alphabet)].astype(np.uint64)
+    return grams, which[at], n
+
+
+def _numbered(code: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """The different codes, ascending, and the place of each among them."""
+    if size > DENSE:
+        return np.unique(code, return_inverse=True)
+    there = np.zeros(size, bool)
+    there[code] = True
+    seen = np.flatnonzero(there)
+    number = np.zeros(size, np.int32)
+    number[seen] = np.arange(len(seen), dtype=np.int32)
+    return seen, number[code]
+
+
 def language(lang: str | None) -> str:
     """A language's name in the model: null differs from every string."""
     return "0" if lang is None else "1" + lang
@@ -87,11 +130,11 @@ def by_language(batch: pa.RecordBatch) -> dict[str, np.ndarray]:
     return {k: np.array(v) for k, v in order.items()}
 
 
-def _of_rows(keys: np.ndarray, n: np.ndarray, rows: np.ndarray) -> np.ndarray:
-    """The keys of some documents, end to end."""
+def _places(n: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    """Where the characters of some documents are."""
     lengths = n[rows]
     firsts = (np.cumsum(n) - n)[rows]
-    return keys[np.arange(int(lengths.sum())) + np.repeat(firsts - (np.cumsum(lengths) - lengths), lengths)]
+    return np.arange(int(lengths.sum())) + np.repeat(firsts - (np.cumsum(lengths) - lengths), lengths)
 
 
 def tally(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -110,11 +153,12 @@ class Counter:
         self.held = 0
 
     def add(self, batch: pa.RecordBatch) -> None:
-        keys, n = gram_keys(*as_bytes(batch.column("text")))
+        grams, which, n = distinct_grams(*as_bytes(batch.column("text")))
         for lang, rows in by_language(batch).items():
-            mine = self.parts.setdefault(lang, [])
-            mine.append(np.unique(_of_rows(keys, n, rows), return_counts=True))
-            self.held += len(mine[-1][0])
+            counts = np.bincount(which[_places(n, rows)], minlength=len(grams))
+            seen = np.flatnonzero(counts)
+            self.parts.setdefault(lang, []).append((grams[seen], counts[seen]))
+            self.held += len(seen)
         if self.held > HELD:
             self.parts = {lang: [self._sum(mine)] for lang, mine in self.parts.items()}
             self.held = sum(len(mine[0][0]) for mine in self.parts.values())
@@ -293,6 +337,9 @@ class Models:
     def __init__(self, files: dict[str, list[tuple[str, int]]], read=None):
         self.files, self.read = files, read or (lambda path: Table(*_store(path)))
         self.kept: dict[str, Table] = {}
+        size = {lang: sum(n for _, n in shards) for lang, shards in files.items()}
+        #: The languages with the largest models.
+        self.often = sorted(size, key=lambda x: (-size[x], x))[:READ]
 
     @property
     def nbytes(self) -> int:
@@ -375,15 +422,28 @@ def _measure(batch: pa.RecordBatch, models: Models) -> dict[str, np.ndarray]:
     """Base counts and log perplexity of a batch's rows."""
     scan = Scan(batch.column("text"))
     out = base_rules(scan)
-    keys, n = gram_keys(scan.bytes, scan.offsets)
-    total = np.zeros(len(n))
-    for lang, rows in by_language(batch).items():
-        if not n[rows].sum():
-            continue
-        grams, which = np.unique(_of_rows(keys, n, rows), return_inverse=True)
-        sums = np.zeros(len(which) + 1)
-        np.cumsum(models.score(grams, lang)[which], out=sums[1:])
-        total[rows] = np.diff(sums[np.append(0, np.cumsum(n[rows]))])
+    grams, which, n = distinct_grams(scan.bytes, scan.offsets)
+    pieces = -(-n // STRETCH)  # stretches of each document
+    ends = np.cumsum(n)
+    firsts = np.repeat(ends - n, pieces) + STRETCH * (np.arange(int(pieces.sum())) - np.repeat(np.cumsum(pieces) - pieces, pieces))
+    edges = np.append(firsts, len(which))
+    best = np.full(len(firsts), -np.inf)
+
+    def read(lang, places, some):
+        sums = np.zeros(len(places) + 1)
+        np.cumsum(models.score(grams, lang)[which[places]], out=sums[1:])
+        lengths = np.diff(edges)[some]
+        best[some] = np.maximum(best[some], np.diff(sums[np.append(0, np.cumsum(lengths))]))
+
+    if len(firsts):
+        whole, every = slice(None), np.arange(len(which))
+        for lang in models.often:
+            read(lang, every, whole)
+        doc = np.repeat(np.arange(len(n)), pieces)
+        for lang, rows in by_language(batch).items():
+            if lang not in models.often:
+                read(lang, _places(n, rows), np.flatnonzero(np.isin(doc, rows)))
+    total = np.bincount(np.repeat(np.arange(len(n)), pieces), best, len(n))
     return out | {"log_ppl": np.where(n > 0, -total / np.maximum(n, 1), np.nan), "n_chars_scored": n}
 
 

@@ -3,12 +3,13 @@
 Overlapping heuristic labellers vote good, bad or nothing on every document. Spark counts the vote patterns of all
 documents; expectation-maximisation over the patterns estimates the share of good documents and, for each labeller, how often it
 votes what under either class, so labellers are weighed by their accuracy rather than counted. The posterior of its pattern labels a document.
-A bounded sample of documents (``SAMPLE`` rows, drawn by hash of the id) with posterior labels trains a linear scorer over
+A bounded sample of documents (the ``SAMPLE`` smallest hashes of id and text) with posterior labels trains a linear scorer over
 hashed character 4-grams, which then scores every document. A second scorer learns a
-given label (toxicity) from a bounded sample (``LABELLED`` rows) of labelled rows, over hashed words and their beginnings.
+given label (toxicity) from a bounded sample (``LABELLED``, likewise) of labelled documents, over hashed words and their beginnings.
+What is drawn depends on the rows alone, not on how they are dealt, so reruns agree.
 
 A null or empty text gets the votes of an empty document (bad). Rows with a null id are scored too but never sampled.
-Repeated rows are scored alike. With no labelled rows the second score is null. An empty table gives an empty result.
+Repeated rows are scored alike and sampled once; of several labels of one id the greatest counts. With no labelled rows the second score is null. An empty table gives an empty result.
 Other columns are ignored.
 """
 
@@ -188,9 +189,9 @@ def _sampled(docs: DataFrame, column: str, kind=features) -> tuple[np.ndarray, .
             scan = Scan(batch.column("text"))
             doc, at, value = kind(scan)
             edges = pa.array(np.searchsorted(doc, np.arange(batch.num_rows + 1)).astype(np.int32))
-            yield pa.RecordBatch.from_arrays([batch.column(column), pa.ListArray.from_arrays(edges, pa.array(at.astype(np.int32))), pa.ListArray.from_arrays(edges, pa.array(value))], ["label", "at", "value"])
+            yield pa.RecordBatch.from_arrays([batch.column(column), pa.ListArray.from_arrays(edges, pa.array(at.astype(np.int32))), pa.ListArray.from_arrays(edges, pa.array(value)), batch.column("draw")], ["label", "at", "value", "draw"])
 
-    rows = docs.select("text", F.col(column).cast("double").alias(column)).mapInArrow(run, "label double, at array<int>, value array<float>").toArrow()
+    rows = docs.select("text", F.col(column).cast("double").alias(column), "draw").mapInArrow(run, "label double, at array<int>, value array<float>, draw long").toArrow().sort_by("draw")
     if not rows.num_rows:
         return None
     at = rows.column("at").combine_chunks()
@@ -198,40 +199,45 @@ def _sampled(docs: DataFrame, column: str, kind=features) -> tuple[np.ndarray, .
     return doc, at.flatten().to_numpy(), rows.column("value").combine_chunks().flatten().to_numpy(), rows.column("label").to_numpy()
 
 
-def _draw(rows: DataFrame, n: int, most: int) -> DataFrame:
-    """About ``most`` rows by hash of the id, and not more."""
-    share = min(1.0, most / max(n, 1))
-    return rows.where(F.col("doc_id").isNotNull() & (F.pmod(F.xxhash64("doc_id", F.lit(23)), F.lit(1 << 30)) < int(share * (1 << 30)))).limit(most)
+def _draw(drawn: DataFrame, n: int, most: int) -> DataFrame:
+    """The ``most`` smallest different values of ``draw``; of ``n`` rows only those that can be among them are sorted."""
+    share = min(1.0, 2 * most / max(n, 1))
+    low = F.shiftrightunsigned("draw", 1) < F.lit(int(share * (2**63 - 1)))
+    return drawn.where(low & F.col("doc_id").isNotNull()).dropDuplicates(["draw"]).orderBy(F.shiftrightunsigned("draw", 1), "draw").limit(most)
 
 
 def weak_label_quality(docs: DataFrame, labels: DataFrame | None = None, label: str = "toxic") -> DataFrame:
     """doc_id, pattern, posterior, score, kept and, with ``labels`` (doc_id, label), label_score and flagged."""
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("long"), "text")
+    keyed = rows.withColumn("draw", F.xxhash64("doc_id", "text", F.lit(23)))
 
     def vote(batches):
         for batch in steps(batches):
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(patterns(votes(Scan(batch.column("text")))))], ["doc_id", "pattern"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("draw"), pa.array(patterns(votes(Scan(batch.column("text")))))], ["doc_id", "draw", "pattern"])
 
-    voted, path = shared.settle(rows.mapInArrow(vote, "doc_id long, pattern long"), "votes")
-    counts = voted.groupBy("pattern").agg(F.count("*").alias("n")).toArrow()  # at most 3 ** labellers rows
+    voted, path = shared.settle(keyed.mapInArrow(vote, "doc_id long, draw long, pattern long"), "votes")
+    counts = voted.groupBy("pattern").agg(F.count("*").alias("n")).toArrow().sort_by("pattern")  # at most 3 ** labellers rows
     pattern, n = counts.column("pattern").to_numpy(), counts.column("n").to_numpy()
     model = LabelModel(pattern, n, len(LABELLERS))
-    shared.drop(spark, path)
 
     def labelled(batches):
         for batch in steps(batches):
             q = model.posterior(patterns(votes(Scan(batch.column("text")))))
-            yield pa.RecordBatch.from_arrays([batch.column("text"), pa.array(q)], ["text", "posterior"])
+            yield pa.RecordBatch.from_arrays([batch.column("text"), pa.array(q), batch.column("draw")], ["text", "posterior", "draw"])
 
-    drawn = _sampled(_draw(rows, int(n.sum()), SAMPLE).mapInArrow(labelled, "text string, posterior double"), "posterior")
+    texts_of = lambda chosen: keyed.join(F.broadcast(chosen), "draw").dropDuplicates(["draw"])  # noqa: E731  (SAMPLE or LABELLED rows)
+    drawn = _sampled(texts_of(_draw(voted, int(n.sum()), SAMPLE).select("draw")).select("text", "draw").mapInArrow(labelled, "text string, posterior double, draw long"), "posterior")
     quality = Scorer(*drawn) if drawn else None
     other = None
     if labels is not None:
-        known = labels.select(F.col("doc_id").cast("long"), F.col(label).cast("double").alias(label)).where(F.col(label).isNotNull())
-        chosen = _draw(known, known.count(), LABELLED).dropDuplicates(["doc_id"])
-        drawn = _sampled(rows.join(F.broadcast(chosen), "doc_id").limit(LABELLED), label, word_features)
+        known = labels.select(F.col("doc_id").cast("long"), F.col(label).cast("double").alias(label)).where(F.col(label).isNotNull()).groupBy("doc_id").agg(F.max(label).alias(label))
+        marked, marked_path = shared.settle(voted.select("doc_id", "draw").join(known, "doc_id"), "labelled")
+        chosen = _draw(marked, marked.count(), LABELLED).select("draw", label)
+        drawn = _sampled(texts_of(chosen).select("text", label, "draw"), label, word_features)
         other = Scorer.selected(*drawn) if drawn else None
+        shared.drop(spark, marked_path)
+    shared.drop(spark, path)
     sent = spark.sparkContext.broadcast((model, quality, other))
 
     def score(batches):
