@@ -201,8 +201,7 @@ def _sampled(docs: DataFrame, column: str, kind=features) -> tuple[np.ndarray, .
 
 def _draw(drawn: DataFrame, n: int, most: int) -> DataFrame:
     """The ``most`` smallest different values of ``draw``; of ``n`` rows only those that can be among them are sorted."""
-    share = min(1.0, 2 * most / max(n, 1))
-    low = F.shiftrightunsigned("draw", 1) < F.lit(int(share * (2**63 - 1)))
+    low = F.shiftrightunsigned("draw", 1) <= F.lit((2**63 - 1) * min(n, 2 * most) // max(n, 1))
     return drawn.where(low & F.col("doc_id").isNotNull()).dropDuplicates(["draw"]).orderBy(F.shiftrightunsigned("draw", 1), "draw").limit(most)
 
 
