@@ -4,7 +4,8 @@ Plain ones are found by fixed patterns over the whole text, in time linear in it
 transducers rewrites the text - look-alike and full-width characters, spelled digits, at/dot disguises - and carries, for
 every character that it writes, the source span that it stands for. The detectors run on the rewritten text, and what
 they find is mapped back to source characters; a find that no rewriting took part in, or that touches a plain one, adds
-nothing. Texts that hold nothing to rewrite skip the chain.
+nothing, unless it is of the same kind and reaches over it on a side: then the wider span stands beside the plain one.
+Texts that hold nothing to rewrite skip the chain.
 
 Spans are half-open and count code points of the original text. Null and empty texts have none. Rows are judged each for
 itself: repeated rows, null ids and other columns change nothing. An empty table gives an empty result.
@@ -15,6 +16,8 @@ from __future__ import annotations
 import hashlib
 import re
 import unicodedata
+from bisect import bisect_left, bisect_right
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -130,9 +133,15 @@ _ANY_DOT = rf"\s?(?:[ _](?:{_DOT_WORD})[ _]|{_BRACKET % (_DOT_WORD + '|[.]')}\s?
 #: Endings that make a bare "at ... dot ..." an address; other endings need brackets, as "at the dot on" is prose.
 _ENDINGS = "com|org|net|edu|gov|info|biz|io|eu|de|fr|es|uk|ch|nl|pl"
 _AT = re.compile(rf"\s?{_BRACKET % '(?:at|ät|arroba|arobase|@)'}\s?|(?<=[A-Za-z0-9])[ _](?:at|arroba|arobase)[ _](?=[A-Za-z0-9.-]+(?:{_ANY_DOT}[A-Za-z0-9-]+)*?{_ANY_DOT}(?:{_ENDINGS})(?![A-Za-z0-9]))|\s@\s(?=[A-Za-z0-9])", re.I)
+# Words before "at" and a site's name that are no mailbox.
+_NO_MAILBOX = frozenset(
+    "a all also and any anyone anything are arrive arrived article articles at available back based be been blog book books buy by call check click code data details download everyone everything file files find for form found free from go guide have here home hosted house how info information is it join just listed live located look looked looking "
+    "made meet met more much news now on one online only open or order out over page pages people place posted project published read register registered report see seen sell sent services shop sign site sites sold some something source staff start started stay stop store stored story talk team that them there these things this those time today tool us used visit was watch we website were what when where which work worked working world you".split()
+)
+_BARE_AT = re.compile(rf"(?<![A-Za-z0-9._%+@-])([A-Za-z0-9][A-Za-z0-9._%+-]*) at (?=(?:[A-Za-z0-9-]+\.)+(?:{_ENDINGS})(?![A-Za-z0-9-]|\.[A-Za-z0-9]))")
 _DOT = re.compile(rf"\s?{_BRACKET % (_DOT_WORD + '|[.]')}\s?|(?<=[A-Za-z0-9])[ _](?:{_DOT_WORD})[ _](?=[A-Za-z0-9])", re.I)
 _STRANGE = re.compile("[­ıƀ-\U0010ffff]")
-_SIGNS = ("dot", "punkt", "punto", "point", "(at", "[at", "{at", "<at", "( at", "[ at", "(@", "[@", "{@", "arroba", "arobase", " @ ", "[.]", "(.)", "{.}")
+_SIGNS = (" at ", "dot", "punkt", "punto", "point", "(at", "[at", "{at", "<at", "( at", "[ at", "(@", "[@", "{@", "arroba", "arobase", " @ ", "[.]", "(.)", "{.}")
 
 
 class Tape:
@@ -207,13 +216,14 @@ def _unspell(tape: Tape) -> None:
 def _undisguise(tape: Tape) -> None:
     for pattern, new in ((_AT, "@"), (_DOT, ".")):
         tape.rewrite([(*m.span(), new) for m in pattern.finditer(tape.text)])
+    tape.rewrite([(m.end(1), m.end(), "@") for m in _BARE_AT.finditer(tape.text) if m.group(1).lower() not in _NO_MAILBOX])
 
 
 _ALL_SPELLED = re.compile(r"(?<![0-9+.])[0-9]{9,15}(?![0-9])")
 
 
 def disguised(text: str, known: list[Span]) -> list[Span]:
-    """Spans that appear only after rewriting, none touching a known one or each other."""
+    """Spans that appear only after rewriting, none touching each other, nor a known one unless they widen it."""
     strange = not text.isascii() and _STRANGE.search(text)
     tape = Tape(text) if strange else None
     if strange:
@@ -230,13 +240,22 @@ def disguised(text: str, known: list[Span]) -> list[Span]:
     found = plain(tape.text)
     if spelled:
         found += [(*m.span(), "phone") for m in _ALL_SPELLED.finditer(tape.text) if all(tape.changed[m.start() : m.end()])]
+    known = sorted(known)
+    starts, reach = [a for a, _, _ in known], list(accumulate((b for _, b, _ in known), max))
+    taken: list[tuple[int, int]] = []  # apart and ascending
     out: list[Span] = []
-    taken = [(a, b) for a, b, _ in known]
     for a, b, kind in sorted(found, key=lambda s: (KINDS.index(s[2]), s[0])):
         at = tape.source(a, b)
-        if at and not any(at[0] < y and x < at[1] for x, y in taken):
-            taken.append(at)
-            out.append((*at, kind))
+        if not at:
+            continue
+        touched = [s for s in known[bisect_right(reach, at[0]) : bisect_left(starts, at[1])] if s[1] > at[0]]
+        if any(k != kind or x < at[0] or y > at[1] or (x, y) == at for x, y, k in touched):
+            continue
+        place = bisect_left(taken, at)
+        if (place and taken[place - 1][1] > at[0]) or (place < len(taken) and taken[place][0] < at[1]):
+            continue
+        taken.insert(place, at)
+        out.append((*at, kind))
     return out
 
 
