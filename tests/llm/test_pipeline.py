@@ -21,7 +21,7 @@ def test_run_against_each_stage_by_brute_force(spark):
     start = [r.asDict() for r in docs.collect()]
     kept = {r.doc_id for r in quality_rules.quality_rules(docs).collect() if r.kept}
     assert sorted(map(str, frames[0])) == sorted(str(r) for r in start if r["doc_id"] in kept)
-    survivors = {c for _, _, c in brute_components([(r["doc_id"], r["text"]) for r in frames[0]])}
+    survivors = {c for _, _, c in brute_components([(r["doc_id"], r["text"]) for r in frames[0]], corpus_pipeline.NEAR_BITS, corpus_pipeline.NEAR_SHINGLE)}
     assert sorted(map(str, frames[1])) == sorted(str(r) for r in frames[0] if r["doc_id"] in survivors)
     masked = [r | {"text": pii.mask(r["text"], pii.find(r["text"])[1])} for r in frames[1]]
     masked = [r | {"n_chars": len(r["text"])} for r in masked]

@@ -7,17 +7,17 @@ from wsig.llm import simhash
 SCHEMA = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("source", T.StringType()), T.StructField("fp", T.StringType()), T.StructField("component_id", T.StringType())])
 
 
-def brute_fingerprint(text):
+def brute_fingerprint(text, shingle=4):
     words = (text or "").encode().lower().split()
     if not words:
         return 0
-    shingles = [b" ".join(words[i : i + 4]) for i in range(max(1, len(words) - 3))]
+    shingles = [b" ".join(words[i : i + shingle]) for i in range(max(1, len(words) - shingle + 1))]
     h = [xxhash.xxh64_intdigest(s, 42) for s in shingles]
     return sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in h) > len(h))
 
 
-def brute_components(rows):
-    fps = [brute_fingerprint(r[1]) for r in rows]
+def brute_components(rows, tau=4, shingle=4):
+    fps = [brute_fingerprint(r[1], shingle) for r in rows]
     parent = list(range(len(rows)))
 
     def find(i):
@@ -27,7 +27,7 @@ def brute_components(rows):
 
     for i in range(len(rows)):
         for j in range(i):
-            if (fps[i] ^ fps[j]).bit_count() <= 4:
+            if (fps[i] ^ fps[j]).bit_count() <= tau:
                 parent[find(i)] = find(j)
     ids = {}
     for i, r in enumerate(rows):
@@ -70,6 +70,14 @@ def test_near_dedup_keeps_one_row_of_each_group(spark):
     assert kept[0].source == "s" and kept[0].fp == "clash"
 
 
+def test_clashing_names_and_a_wider_threshold(spark):
+    rows = corpus()
+    df = spark.createDataFrame(rows, SCHEMA).withColumnRenamed("source", "own_id").withColumnRenamed("component_id", "NTH")
+    kept = simhash.near_dedup(df, 6, 5)
+    assert kept.columns == df.columns
+    assert sorted(r.doc_id for r in kept.collect() if r.doc_id is not None) == sorted({c for _, _, c in brute_components(rows, 6, 5) if c >= 0})
+
+
 def test_empty_table(spark):
     assert simhash.simhash_groups(spark.createDataFrame([], SCHEMA)).count() == 0
     assert simhash.near_dedup(spark.createDataFrame([], SCHEMA)).count() == 0

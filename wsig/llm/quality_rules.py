@@ -207,7 +207,7 @@ def _low(gram: str, m: int) -> Column:
 def smoothed(level: DataFrame, m: int, lower: DataFrame | None) -> DataFrame:
     """(lang, gram, p, context, weight) of the m-grams of ``level`` (lang, gram, n), interpolated with the (m - 1)-grams of ``lower``."""
     d = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
-    rows = level.join(_discounts(level), "lang").select("lang", "gram", "n", d.alias("d"), F.shiftright("gram", BITS).alias("context"))
+    rows = level.join(F.broadcast(_discounts(level)), "lang").select("lang", "gram", "n", d.alias("d"), F.shiftright("gram", BITS).alias("context"))
     sums = rows.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("d").alias("left"))
     rows = rows.join(sums, ["lang", "context"]).withColumn("weight", F.col("left") / F.col("total"))
     own = (F.col("n") - F.col("d")) / F.col("total")
@@ -274,9 +274,10 @@ def write_model(counts: DataFrame) -> dict[str, list[tuple[str, int]]]:
     """Writes the models' shards; returns each language's files in order of shard, and their numbers of entries."""
     spark = counts.sparkSession
     made = entries(counts)
+    # a row of a few numbers for each language
     shards = made.groupBy("lang").agg(F.ceil(F.count("*") / SHARD).cast("int").alias("shards"))
     own = F.when(F.col("pair").isNotNull(), F.array(F.shiftright(F.col("pair") * 40503, 8) % F.col("shards"))).otherwise(F.sequence(F.lit(0).cast("long"), F.col("shards").cast("long") - 1))
-    dealt = made.join(shards, "lang").select("lang", F.explode(own).alias("shard"), "code", "value")
+    dealt = made.join(F.broadcast(shards), "lang").select("lang", F.explode(own).alias("shard"), "code", "value")
     folder = shared.new_path(spark, "model")
 
     def run(batches):

@@ -15,7 +15,7 @@ _live: set[str] = set()
 def shared_dir(spark: SparkSession) -> str:
     """The cluster's ``spark.checkpoint.dir``; where that is unset, a folder of our own.
 
-    A local master has one machine, so a temporary folder is shared there; elsewhere the default file system is used.
+    A local master has one machine, so a temporary folder is shared there; elsewhere the default file system is used, by its full URI.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
@@ -26,7 +26,9 @@ def shared_dir(spark: SparkSession) -> str:
             made = shared_dir.made = tempfile.mkdtemp(prefix="wsig-shared-")
             atexit.register(_forget, made)
         return f"file://{made}"
-    return "wsig-scratch"
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    at = jvm.org.apache.hadoop.fs.Path("wsig-scratch")
+    return at.getFileSystem(conf).makeQualified(at).toString()
 
 
 def _forget(path: str) -> None:
@@ -58,6 +60,17 @@ def settle(df: DataFrame, tag: str) -> tuple[DataFrame, str]:
     return spark.read.schema(df.schema).parquet(path), path
 
 
+def free(columns: list[str], *names: str) -> list[str]:
+    """Names for columns of our own that no column of a table has, whatever its case."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name in taken:
+            name = "_" + name
+        taken.add(name)
+        out.append(name)
+    return out
+
+
 def slots(spark: SparkSession) -> int:
     """Shuffle partitions of the session, for repartitions that must not fall to one task."""
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))

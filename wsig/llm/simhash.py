@@ -24,6 +24,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from wsig.llm import shared
 from wsig.llm.components import components
@@ -303,18 +304,19 @@ def near_dedup(docs: DataFrame, tau: int = TAU, shingle: int = SHINGLE) -> DataF
     their component has one; then too one of them stays.
     """
     named = [c for c in docs.columns if c not in ("doc_id", "text")]
+    own_id, nth = shared.free(docs.columns, "own_id", "nth")
     groups = simhash_groups(docs, tau, shingle)
     alone = groups.where(F.col("component_id").isNull()).select("fp").distinct()
-    chosen = groups.where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    with_id = docs.join(chosen.withColumnRenamed("doc_id", "__id"), F.col("doc_id").cast("long") == F.col("__id"), "left_semi")
-    order = Window.partitionBy("doc_id").orderBy(*[F.xxhash64(c) for c in ("text", *named)])
-    kept = with_id.withColumn("__nth", F.row_number().over(order)).where("__nth = 1").drop("__nth")
+    chosen = groups.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias(own_id)).distinct()
+    with_id = docs.join(chosen, F.col("doc_id").cast("long") == F.col(own_id), "left_semi")
+    order = Window.partitionBy("doc_id").orderBy(*[F.xxhash64(f"`{c}`") for c in ("text", *named)])
+    kept = with_id.withColumn(nth, F.row_number().over(order)).where(F.col(nth) == 1).drop(nth)
     return kept.unionByName(_without_id(docs, alone, shingle))
 
 
 def _without_id(docs: DataFrame, alone: DataFrame, shingle: int) -> DataFrame:
     """Of rows without an id, one for each fingerprint group that has no id at all."""
-    named = docs.columns
+    named, (fp, own_fp) = docs.columns, shared.free(docs.columns, "fp", "own_fp")
     none = docs.where(F.col("doc_id").isNull())
 
     def run(batches):
@@ -322,8 +324,8 @@ def _without_id(docs: DataFrame, alone: DataFrame, shingle: int) -> DataFrame:
             data, offsets = as_bytes(batch.column("text"))
             whole = data.tobytes()
             fps = np.array([fingerprint(whole[a:b], shingle) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())], np.uint64)
-            yield batch.append_column("__fp", pa.array(fps.view(np.int64)))
+            yield batch.append_column(fp, pa.array(fps.view(np.int64)))
 
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    marked = none.mapInArrow(run, fields + ", __fp long").join(alone.withColumnRenamed("fp", "__fp"), "__fp", "left_semi")
-    return marked.groupBy("__fp").agg(F.min_by(F.struct(*named), F.struct(*[F.xxhash64(c) for c in named])).alias("r")).select("r.*")
+    schema = T.StructType([*docs.schema.fields, T.StructField(fp, T.LongType())])
+    marked = none.mapInArrow(run, schema).join(alone.withColumnRenamed("fp", own_fp), F.col(fp) == F.col(own_fp), "left_semi")
+    return marked.groupBy(fp).agg(F.min_by(F.struct(*[f"`{c}`" for c in named]), F.struct(*[F.xxhash64(f"`{c}`") for c in named])).alias(own_fp)).select(f"{own_fp}.*")
