@@ -16,6 +16,10 @@ from wsig.llm import mixing, piece_codec, pii, quality_rules, shared, simhash
 ORACLE_SQL = None
 
 
+#: Near copies: fingerprints of five-word shingles that differ in at most six bits. README has the recall by similarity.
+NEAR_BITS, NEAR_SHINGLE = 6, 5
+
+
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules and their language's perplexity band keep."""
     return quality_rules.keep_good(docs)
@@ -23,7 +27,7 @@ def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each near-duplicate group."""
-    return simhash.near_dedup(docs)
+    return simhash.near_dedup(docs, NEAR_BITS, NEAR_SHINGLE)
 
 
 def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
