@@ -37,7 +37,7 @@ def results(df):
 def test_recall_ties_and_exact_scores(spark, monkeypatch):
     rows = table(3000)
     want = brute(rows)
-    for block, asked in ((4096, 1024), (100, 10)):
+    for block, asked in ((16384, 1024), (100, 10)):
         monkeypatch.setattr(V, "BLOCK", block)
         monkeypatch.setattr(V, "QUERIES", asked)
         got = results(V.nearest(spark.createDataFrame(rows, SCHEMA).repartition(5)))
