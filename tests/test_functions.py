@@ -40,6 +40,19 @@ def test_float_levels():
     assert FloatLadder(64).np_value(FloatLadder(64).np_index(w)).tolist() == w.tolist()
 
 
+@pytest.mark.parametrize("bits", [32, 64])
+def test_float_levels_as_columns_agree_to_the_bit(spark, bits):
+    f, rng = FloatLadder(bits), np.random.default_rng(bits)
+    most = 127 if bits == 32 else 1022
+    w = np.concatenate([np.ldexp(rng.random(400) + 0.5, rng.integers(-most - 20, most, 400)), 2.0 ** np.arange(-most, most, 13), np.nextafter(2.0 ** np.arange(-60, 60), 0), rng.exponential(3, 200), [0.0, -1.0, 1e-46 if bits == 32 else 5e-324, float(np.finfo(f.float).max)]])
+    df = spark.createDataFrame([(float(x),) for x in w], "w double")
+    rows = df.select("w", f.index(F.col("w")).alias("i")).withColumn("v", f.value(F.col("i"))).collect()
+    assert [r.i for r in rows] == np.where(w > 0, f.np_index(np.maximum(w, 0)), 0).tolist()
+    assert [r.v for r in rows] == f.np_value(np.array([r.i for r in rows])).tolist()
+    with pytest.raises(Exception, match="too large"):
+        spark.createDataFrame([(1e39 if bits == 32 else float("inf"),)], "w double").select(f.index(F.col("w"))).collect()
+
+
 def test_estimates(spark):
     df = spark.createDataFrame([([1, 2, 3, 4], [1, 0, 3, 9]), ([None] * 4, [None] * 4), ([None] * 4, [1, 2, 3, 4])], "a array<long>, b array<long>")
     assert [r[0] for r in df.select(E.estimate_jaccard("a", "b")).collect()] == [0.5, None, 0.0]

@@ -51,7 +51,7 @@ def test_spread_out_bags_and_merging(spark, bags):
     ladder = IntegerLadder(64)
     want = cells(poisson.sig_lp(bags, 8, ladder, Prng()))
     same(want, cells(poisson.sig_lp(bags, 8, ladder, Prng(), shards=7)))
-    same(want, cells(lp_kernel.sig_lp_arrow(bags.repartition(5), 8, ladder, cluster=False)))
+    same(want, cells(lp_kernel.sig_lp_arrow(bags.repartition(5), 8, ladder)))
     parts = [lp_kernel.sig_lp_arrow(bags.where(F.col("elem") % 3 == i), 8, ladder) for i in range(3)]
     same(want, cells(poisson.merge_signatures(parts[0].unionByName(parts[1]).unionByName(parts[2]))))
     half = B.bag_scale(bags, 0.5)

@@ -10,6 +10,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+def _let(value: Column, body) -> Column:
+    """body(value), with the value computed once: a lambda's variable isn't copied into every place that uses it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
 class Ladder:
     """index() and value() as columns, np_index() and np_value() in numpy; top is L."""
 
@@ -159,12 +164,46 @@ class ListLadder(Ladder):
 
 
 class FloatLadder(Ladder):
-    """All positive finite IEEE values of one width as levels: the level's index is the value's bit pattern. numpy only."""
+    """All positive finite IEEE values of one width as levels: the level's index is the value's bit pattern.
+
+    As columns, exponent and mantissa come from comparisons with exact powers of two, so both forms agree to the bit.
+    """
 
     def __init__(self, bits: int = 32):
         self.bits = bits
         self.float, self.int = (np.float32, np.int32) if bits == 32 else (np.float64, np.int64)
         self.top = int(np.array(np.finfo(self.float).max, self.float).view(self.int))
+        self.mantissa, self.bias = (23, 127) if bits == 32 else (52, 1023)
+
+    def _two(self, e: Column) -> Column:
+        """2**e, in two factors so that neither leaves the range of doubles."""
+        half = F.floor(e / 2)
+        return F.pow(F.lit(2.0), half) * F.pow(F.lit(2.0), e - half)
+
+    def index(self, w):
+        low, below, most = 1 - self.bias, 1 << self.mantissa, float(np.finfo(self.float).max)
+
+        def placed(w, e):
+            scaled = F.floor(w / self._two(F.floor(e / 2)) / self._two(e - F.floor(e / 2)) * F.lit(2.0**self.mantissa)).cast("long")
+            # numbers under the smallest exponent have no leading one
+            return _let(scaled, lambda k: F.when(k < F.lit(below), k).otherwise(F.shiftleft((e - low + 1).cast("long"), self.mantissa) + k - F.lit(below)))
+
+        def of(w):
+            guess = F.greatest(F.lit(low), F.least(F.lit(self.bias), F.floor(F.log2(w)))).cast("int")
+            down = lambda g: F.when((g > low) & (self._two(g) > w), g - 1).otherwise(g)  # noqa: E731  (the logarithm may be off by one)
+            up = lambda d: F.when((d < self.bias) & (self._two(d + 1) <= w), d + 1).otherwise(d)
+            found = _let(guess, lambda g: _let(down(g), lambda d: _let(up(d), lambda e: placed(w, e))))
+            return F.when(w <= 0, F.lit(0).cast("long")).when(w > most, F.raise_error(F.lit("weight too large for the ladder")).cast("long")).otherwise(found)
+
+        return _let(w.cast("double"), of)
+
+    def value(self, i):
+        def of(i):
+            e, m = F.shiftright(i, self.mantissa), i.bitwiseAND(F.lit((1 << self.mantissa) - 1)).cast("double")
+            whole = F.when(e > 0, m + F.lit(2.0**self.mantissa)).otherwise(m)
+            return whole * self._two(F.greatest(e, F.lit(1)) - F.lit(self.bias + self.mantissa))
+
+        return _let(i.cast("long"), of)
 
     def np_index(self, w):
         w = np.asarray(w, float)

@@ -17,9 +17,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wsig.functions.ladder import Ladder
+from wsig.functions.ladder import Ladder, discretize
 from wsig.functions.prng import COMPONENT, FIRST, NEXT, SIDE, np_hash, np_u01
 
+#: Expected nodes of a chunk that is walked at once; a bag's larger number is walked in parts, whose minima merge.
+NODES = 1 << 18
 _KEYS = ("bag", "elem", "level", "lo", "hi", "x", "j", "made_lo", "made_hi")
 
 
@@ -74,40 +76,42 @@ def _least(bag, j, x, ident, m):
     return bag[first], j[first], x[first], ident[first]
 
 
+def _chunks(cost: np.ndarray, most: float) -> list[tuple[int, int]]:
+    """Stretches of rows whose costs sum to about ``most``, one row at least."""
+    ends, out, i = np.cumsum(cost), [], 0
+    while i < len(cost):
+        j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0.0) + most, "right")))
+        out.append((i, j))
+        i = j
+    return out
+
+
 def _partial(rows: DataFrame, m: int, ladder: Ladder, salt: int) -> DataFrame:
-    """Least points by batch of (bag_id, elem, weight, horizon)."""
+    """Least points by chunk of (bag_id, elem, level, level_weight, horizon).
+
+    An element is halved ``depth`` times at least and has level_weight * horizon points to be expected, which bounds a
+    chunk's memory whatever m and the batch.
+    """
 
     def run(batches):
         for batch in batches:
-            for start in range(0, batch.num_rows, 1 << 16):
-                part = batch.slice(start, 1 << 16)
-                get = lambda c: part.column(c).to_numpy(zero_copy_only=False)  # noqa: E731, B023
-                ids, bag = np.unique(get("bag_id"), return_inverse=True)
+            whole = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("bag_id", "elem", "level", "level_weight", "horizon")]
+            for a, b in _chunks(1.0 + ladder.depth + 2 * whole[3] * whole[4], NODES):
+                bags, elem, level, _, horizons = (x[a:b] for x in whole)
+                ids, bag = np.unique(bags, return_inverse=True)
                 horizon = np.zeros(len(ids))
-                horizon[bag] = get("horizon")
-                level = ladder.np_index(get("weight"))
-                b, j, x, ident = _least(*wavefront(bag, get("elem"), level, horizon, m, ladder, salt), m)
-                yield pa.RecordBatch.from_arrays([pa.array(ids[b]), pa.array(j.astype(np.int32)), pa.array(x), pa.array(ident)], ["bag_id", "j", "x", "id"])
-
-    return rows.select("bag_id", "elem", "weight", "horizon").mapInArrow(run, "bag_id long, j int, x double, id long")
-
-
-def _rounded(bags: DataFrame, ladder: Ladder) -> DataFrame:
-    """Adds the rounded weight; rows below the first level go."""
-
-    @F.pandas_udf("double")
-    def value(w: pd.Series) -> pd.Series:
-        return pd.Series(ladder.np_value(ladder.np_index(w.to_numpy())))
+                horizon[bag] = horizons
+                who, j, x, ident = _least(*wavefront(bag, elem, level, horizon, m, ladder, salt), m)
+                yield pa.RecordBatch.from_arrays([pa.array(ids[who]), pa.array(j.astype(np.int32)), pa.array(x), pa.array(ident)], ["bag_id", "j", "x", "id"])
 
-    return bags.withColumn("level_weight", value("weight")).where("level_weight > 0")
+    return rows.select("bag_id", "elem", "level", "level_weight", "horizon").mapInArrow(run, "bag_id long, j int, x double, id long")
 
 
-def sig_lp_arrow(bags: DataFrame, m: int, ladder: Ladder, c: float = 4.0, salt: int = 0, cluster: bool = True) -> DataFrame:
+def sig_lp_arrow(bags: DataFrame, m: int, ladder: Ladder, c: float = 4.0, salt: int = 0) -> DataFrame:
     """(bag_id, j, id, h) for any ladder; bags of over a task's rows need no care, as partial minima merge."""
     from wsig.operators.poisson import until_filled
 
-    rows = bags.select("bag_id", "elem", "weight")
-    rows = _rounded(rows.repartition("bag_id") if cluster else rows, ladder)
+    rows = discretize(bags.select("bag_id", "elem", "weight"), ladder)
     return until_filled(rows, m, c, lambda r: _partial(r, m, ladder, salt))
 
 

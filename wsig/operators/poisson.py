@@ -23,9 +23,9 @@ from wsig.operators.lsh import settle
 
 
 def clustered(bags: DataFrame, shards: int = 1) -> DataFrame:
-    """Bags' rows together, so that what is exploded later crosses no network; ``shards`` parts for each bag if some are heavy."""
-    if shards == 1:
-        return bags.repartition("bag_id")
+    """Bags' rows as they lie, or dealt to ``shards`` parts for each bag before they multiply."""
+    if shards == 1:  # minima merge, so rows may stay where they are
+        return bags
     return bags.withColumn("__shard", F.pmod(F.xxhash64("elem", F.lit(3)), F.lit(shards))).repartition("bag_id", "__shard").drop("__shard")
 
 
