@@ -5,6 +5,7 @@ import pytest
 
 import __spark_entry__ as entry
 from wsig import queries
+from wsig import queries_more  # noqa: F401
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()

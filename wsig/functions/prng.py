@@ -37,6 +37,51 @@ def np_u01(*keys) -> np.ndarray:
     return ((np_hash(*keys) >> np.uint64(11)).astype(np.float64) + 0.5) / 2.0**53
 
 
+def bernoulli_bits(p: float, bits: int) -> tuple[bool, int]:
+    """Whether a uniform number with the given 64 binary digits lies under p, and how many digits that took: two on average."""
+    for used in range(1, 65):
+        p *= 2
+        digit, own = bits >> (64 - used) & 1, int(p >= 1)
+        p -= own
+        if digit != own:
+            return digit < own, used
+        if p == 0:  # the rest of p's digits are zeros, so the number isn't under it
+            return False, used
+    return False, 64
+
+
+def _halves() -> np.ndarray:
+    """Sums of ln(2)**k / k! for k = 1, 2, ...: chances of an exponential's part under ln 2."""
+    term, out = 1.0, []
+    for k in range(1, 20):
+        term *= np.log(2) / k
+        out.append((out[-1] if out else 0.0) + term)
+    return np.array(out)
+
+
+_PARTS = _halves()
+
+
+def np_exponential(*keys) -> np.ndarray:
+    """Exponential draws without a logarithm: whole multiples of ln 2 from the leading ones of a keyed word, and the least of a few uniforms."""
+    word = np_hash(*keys, 0)
+    ones = np.zeros(word.shape, np.int64)
+    rest = word.copy()
+    running = np.ones(word.shape, bool)
+    for _ in range(64):
+        running = running & (rest >> np.uint64(63) == np.uint64(1))
+        if not running.any():
+            break
+        ones += running
+        rest = np.where(running, rest << np.uint64(1), rest)
+    u = np_u01(*keys, 1)
+    many = np.searchsorted(_PARTS, u, "right") + 1
+    least = np_u01(*keys, 2)
+    for k in range(2, int(many.max(initial=1)) + 1):
+        least = np.where(k <= many, np.minimum(least, np_u01(*keys, k + 1)), least)
+    return np.log(2) * (ones + np.where(u < np.log(2), u / np.log(2), least))
+
+
 class Prng:
     """Keyed uniform draws as columns."""
 

@@ -119,6 +119,79 @@ def failing_cells(mse: DataFrame) -> DataFrame:
     return mse.groupBy("alg").agg(F.count("*").alias("cells"), F.expr("count(*) FILTER (WHERE abs(z) > 3)").alias("failing"))
 
 
+#: Pairs of a cell by how many elements a case has, so that every case fits one run; the reference took 10 000 everywhere.
+GRID = ((("V1", "V2", "V3", "V4", "V7"), 1000), (("V5", "V8"), 60), (("V6", "V9"), 10))
+GRID_ALGS = ["lp_float32", "lp_binary", "icws", "zero_bit", "ccws", "pcws", "i2cws"]
+
+
+def error_grid(spark: SparkSession, sizes: list[int], scale: float = 1.0, groups=GRID) -> DataFrame:
+    """Errors of all algorithms on all cases, with ``failing`` where they are over three standard deviations from theory."""
+    parts = [mse_table(spark, list(cases), sizes, max(2, int(n * scale)), GRID_ALGS) for cases, n in groups]
+    return reduce(DataFrame.unionByName, parts).withColumn("failing", F.abs("z") > 3)
+
+
+def component_correlation(spark: SparkSession, case: str, m: int, n_pairs: int, prng: Prng | None = None) -> DataFrame:
+    """(alg, m, bias, ratio): the estimates' mean error, and their variance over that of independent components.
+
+    A ratio over 1 means components that go together, under 1 components that balance each other.
+    """
+    prng = prng or Prng()
+    runs = {
+        "lp_binary": lambda b: poisson.sig_ordered(b, m, BinaryLadder(), prng),
+        "minhash": lambda b: baselines.sig_minhash(b, m, prng),
+        "one_permutation": lambda b: baselines.sig_oph(b, m, prng),
+        "rotation": lambda b: baselines.sig_oph(b, m, prng, "rotation"),
+        "random_fill": lambda b: baselines.sig_oph(b, m, prng, "random"),
+        "rounds": lambda b: baselines.sig_roundsketch(b, m),
+        "permuted": lambda b: baselines.sig_permuted(b, m),
+    }
+    bags, j = settle(case_pairs(spark, case, n_pairs)), CASES[case][1]
+    parts = []
+    for name, run in runs.items():
+        est = pair_estimates(run(bags), m).agg(F.avg("est").alias("mean"), F.var_pop("est").alias("variance"))
+        parts.append(est.select(F.lit(name).alias("alg"), F.lit(m).alias("m"), (F.col("mean") - j).alias("bias"), (F.col("variance") * m / (j * (1 - j))).alias("ratio")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def cost_by_size(spark: SparkSession, sizes: list[int], ms: list[int], reps: int = 3) -> DataFrame:
+    """(variant, m, n, points, splits, words, tracker, peak, rival_words): mean work and nodes held for random bags of n elements.
+
+    ``rival_words`` are the draws of consistent sampling, five for each element and component.
+    """
+    from wsig.operators.lp_kernel import lp_costs
+
+    bags = reduce(DataFrame.unionByName, [random_bags(spark, n, reps, seed=i + 1).withColumn("bag_id", F.col("bag_id") + i * reps) for i, n in enumerate(sizes)])
+    bags, parts = settle(bags), []
+    for m in ms:
+        for variant in ("one_pass", "two_phase"):
+            cost = lp_costs(bags, m, FloatLadder(32), variant).groupBy("n").agg(F.avg("n_points").alias("points"), F.avg("n_splits").alias("splits"), F.avg("n_words").alias("words"), F.avg("n_tree_updates").alias("tracker"), F.avg("peak_nodes").alias("peak"))
+            parts.append(cost.select(F.lit(variant).alias("variant"), F.lit(m).alias("m"), "n", "points", "splits", "words", "tracker", "peak", (F.col("n") * 5 * m).alias("rival_words")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def extrapolated(cost: DataFrame, least: int, to: list[int]) -> DataFrame:
+    """(variant, m, n, words): draws for larger bags by a straight line through the sizes from ``least`` on."""
+    line = cost.where(F.col("n") >= least).groupBy("variant", "m").agg(F.regr_slope("words", "n").alias("slope"), F.regr_intercept("words", "n").alias("base"))
+    return line.withColumn("n", F.explode(F.array(*[F.lit(n) for n in to]))).select("variant", "m", "n", (F.col("base") + F.col("slope") * F.col("n")).alias("words"))
+
+
+def ladder_costs(spark: SparkSession, eps: list[float], n: int, m: int, reps: int = 3) -> DataFrame:
+    """(eps, levels, points, splits, off): work of the two-phase walk on ladders fitted to the weights, and the rounding error at most."""
+    from wsig.functions.ladder import Ladder
+    from wsig.operators.lp_kernel import lp_costs
+
+    bags = settle(random_bags(spark, n, reps))
+    low, high = bags.agg(F.min("weight"), F.max("weight")).first()
+    parts = []
+    for e in eps:
+        ladder = Ladder.for_range(low, high, e)
+        level = ladder.value(ladder.index(F.col("weight")))
+        off = bags.agg(F.max(F.col("weight") / level - 1)).first()[0]
+        cost = lp_costs(bags, m, ladder).agg(F.avg("n_points").alias("points"), F.avg("n_splits").alias("splits"))
+        parts.append(cost.select(F.lit(e).alias("eps"), F.lit(ladder.top).alias("levels"), "points", "splits", F.lit(off).alias("off")))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def random_bags(spark: SparkSession, n: int, reps: int, seed: int = 1) -> DataFrame:
     """``reps`` bags of n random elements with exponential weights."""
     p = Prng(salt=seed)

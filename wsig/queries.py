@@ -581,8 +581,8 @@ def _doc_words(spark, d, unit="word", weight="tf"):
     return B.bag_from_text(B.load(spark, d, "documents", ["doc_id", "text"]), "doc_id", "text", unit, 5, weight)
 
 
-def _doc_sigs(bags, m=64):
-    return poisson.assemble(lp_kernel.sig_lp_arrow(bags, m, FloatLadder(32)), m)
+def _doc_sigs(bags, m=64, ladder=None):
+    return poisson.assemble(lp_kernel.sig_lp_arrow(bags, m, ladder or FloatLadder(32)), m)
 
 
 @query()
@@ -596,24 +596,23 @@ def band_candidates(spark, d):
 def near_copies(spark, d):
     """Pairs of documents whose 5-word shingle sets have similarity 0.8 or more."""
     bags = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
-    return lsh.similarity_join(bags, _doc_sigs(bags), 64, 0.8)
+    return lsh.similarity_join(bags, _doc_sigs(bags, ladder=BinaryLadder()), 64, 0.8)
 
 
 @query()
 def near_copies_quality(spark, d):
-    """Candidates held against sure near-copies: pairs that share a bucket of exact word bags."""
+    """Recall and precision of the estimated similarity join at 0.9 (no exact check) against exact similarities of all sharing pairs."""
     bags = lsh.settle(_doc_words(spark, d))
-    found = lsh.similarity_join(bags, _doc_sigs(bags), 64, 0.9)
-    whole = bags.groupBy("bag_id").agg(F.sum(F.xxhash64("elem", "weight") % (1 << 40)).alias("whole"), F.count("*").alias("n"))
-    same = Window.partitionBy("whole", "n")
-    truth = whole.withColumn("a", F.min("bag_id").over(same)).where("a < bag_id").select("a", F.col("bag_id").alias("b"))
-    return lsh.pair_quality(found.join(truth, ["a", "b"], "left_semi"), truth)
+    classes = lsh.settle(lsh.equal_bags(bags))
+    reps = bags.join(classes.select(F.col("rep").alias("bag_id")).distinct(), "bag_id", "left_semi")
+    truth = B.wjaccard_all_pairs(reps).where("j >= 0.9").select("a", "b")
+    return lsh.pair_quality(lsh.class_pairs(bags, lsh.settle(_doc_sigs(bags)), classes, 64, 0.9, verify=False).select("a", "b"), truth)
 
 
 @query()
 def document_clusters(spark, d):
     bags = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
-    pairs = lsh.similarity_links(bags, _doc_sigs(bags), 64, 0.8)
+    pairs = lsh.similarity_links(bags, _doc_sigs(bags, ladder=BinaryLadder()), 64, 0.8)
     return lsh.components(bags.select(F.col("bag_id").alias("node")).distinct(), pairs)
 
 
@@ -823,8 +822,7 @@ def bag_normalise(spark, d):
 
 @query(f"WITH bag AS ({_bag('supplier_part')}), t AS (SELECT bag_id, sum(weight) AS total FROM bag GROUP BY 1) SELECT bag_id, total FROM t WHERE total > (SELECT avg(total) FROM t)")
 def heavier_than_average(spark, d):
-    B.totals(B.supplier_part(spark, d)).createOrReplaceTempView("wsig_totals")
-    return spark.sql("SELECT bag_id, total FROM wsig_totals WHERE total > (SELECT avg(total) FROM wsig_totals)")
+    return spark.sql("SELECT bag_id, total FROM {t} WHERE total > (SELECT avg(total) FROM {t})", t=B.totals(B.supplier_part(spark, d)))
 
 
 @query(f"SELECT count(*) AS n, min(weight) AS low, max(weight) AS high, count(DISTINCT bag_id) AS bags FROM ({_bag('customer_part')})")

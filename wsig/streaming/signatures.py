@@ -98,6 +98,20 @@ def stream_signatures(rows: DataFrame, m: int, ladder: Ladder, salt: int = 0) ->
     return rows.groupBy("bag_id").applyInPandasWithState(update, out, kept, "update", GroupStateTimeout.NoTimeout)
 
 
+def min_hashes(elements, m: int, salt: int = 0):
+    """A set's minwise signature as a column over its array of long elements; null for an empty set."""
+    of = lambda j: F.array_min(F.transform(elements, lambda e: F.xxhash64(F.lit(salt).cast("long"), e, j)))
+    return F.when(F.size(elements) > 0, F.transform(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long")), of))
+
+
+def stream_match(arriving: DataFrame, stored: DataFrame, bands: int, rows: int) -> DataFrame:
+    """(bag_id, stored_id) of arriving signatures (bag_id, sig) and stored ones that share a band; the store is a static table."""
+    from wsig.operators.lsh import band_keys
+
+    index = band_keys(stored, bands, rows).withColumnRenamed("bag_id", "stored_id")
+    return band_keys(arriving, bands, rows).join(index, ["band", "bucket"]).select("bag_id", "stored_id")
+
+
 def run_available_now(stream: DataFrame, mode: str = "complete", path: str | None = None) -> DataFrame:
     """Runs a stream over what is there and returns the result: the last batch's table, or all rows with their batch number.
 
