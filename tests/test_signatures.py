@@ -112,6 +112,45 @@ def test_arrow_sampling_agrees_with_columns(bags):
     assert all(abs(a[k][1] - b[k][1]) <= 1e-9 * abs(b[k][1]) for k in b)
 
 
+def test_kernels_agree_with_their_twins():
+    from wsig.functions.prng import bernoulli_bits, np_exponential
+    from wsig.surface import np_signature
+
+    rng = np.random.default_rng(1)
+    elem, weight = rng.integers(0, 10**9, 70), rng.exponential(2, 70)
+    a, b = baselines.np_icws(elem, weight, 24), baselines.np_icws_blocks(elem, weight, 24, cells=100)
+    assert a[0].tolist() == b[0].tolist() and np.allclose(a[1], b[1], rtol=1e-12)
+    f = FloatLadder(32)
+    ids, h = np_signature(elem, weight, 24, f)
+    sig = lp_kernel.two_phase(list(zip(elem.tolist(), weight.tolist())), 24, f)
+    assert np.allclose(h, sig.minima, rtol=1e-12) and len(ids) == 24
+    x = np.sort(np_exponential(7, np.arange(40_000)))
+    assert np.abs(1 - np.exp(-x) - np.arange(1, len(x) + 1) / len(x)).max() < 1.95 / np.sqrt(len(x))
+    draws = [bernoulli_bits(0.3, int(b)) for b in rng.integers(0, 2**63, 20_000, dtype=np.uint64) * np.uint64(2)]
+    assert abs(np.mean([d for d, _ in draws]) - 0.3) < 0.015 and abs(np.mean([n for _, n in draws]) - 2) < 0.05
+
+
+def test_a_signature_of_16384_components_takes_bounded_chunks(spark, monkeypatch):
+    rows = B.aggregate_bags(spark.range(60).select((F.col("id") % 3).alias("bag_id"), F.xxhash64("id").alias("elem"), (1 + F.col("id") % 7).cast("double").alias("weight")))
+    assert [b - a for a, b in lp_kernel._chunks(np.array([5.0, 5.0, 50.0, 1.0, 1.0]), 10.0)] == [2, 1, 2]
+    got = lp_kernel.sig_lp_arrow(rows, 16384, IntegerLadder(8)).groupBy("bag_id").count().collect()
+    assert sorted(tuple(r) for r in got) == [(0, 16384), (1, 16384), (2, 16384)]
+
+
+def test_specs_tell_comparable_signatures(spark):
+    from wsig.surface import BagSignature, SignatureSpec, compare
+
+    rows = spark.createDataFrame([(1, 5, 2.0), (2, 5, 2.0), (3, 6, 1.0)], "bag_id long, elem long, weight double")
+    one, other = SignatureSpec(8, "integer:4"), SignatureSpec(8, "integer:4", salt=1)
+    pairs = spark.createDataFrame([(1, 2), (1, 3)], "a long, b long")
+    assert sorted(r.j for r in compare(one.sign(rows), one.sign(rows), pairs).collect()) == [0.0, 1.0]
+    with pytest.raises(Exception, match="different specs"):
+        compare(one.sign(rows), other.sign(rows), pairs).collect()
+    with pytest.raises(ValueError, match="unknown ladder"):
+        SignatureSpec(8, "odd").levels()
+    assert BagSignature(m=8, ladder="integer:4").transform(rows).first()["spec"] == one.fingerprint
+
+
 def test_edges(spark):
     rows = [(1, 5, 0.2), (2, 5, 3.0), (2, 6, 1.0), (3, 5, 3.0), (3, 6, 1.0), (4, 9, 2.0)]
     df = io.bags_from_rows(spark, rows)

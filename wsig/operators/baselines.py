@@ -170,6 +170,25 @@ def np_icws(elem: np.ndarray, weight: np.ndarray, m: int, salt: int = 0):
     return ids, h
 
 
+def np_icws_blocks(elem: np.ndarray, weight: np.ndarray, m: int, salt: int = 0, cells: int = 1 << 18):
+    """The same over blocks of elements by components, so that neither few elements nor few components cost calls."""
+    ids, h = np.zeros(m, np.int64), np.full(m, np.inf)
+    step = max(1, cells // m)
+    j = np.arange(m)[None, :]
+    for i in range(0, len(elem), step):
+        e, log_w = elem[i : i + step, None], np.log(weight[i : i + step, None])
+        u = [np_u01(salt, e, j, k) for k in (U1, U2, U3, U4, U5)]
+        r, c = -np.log(u[0] * u[1]), -np.log(u[2] * u[3])
+        t = np.floor(log_w / r + u[4])
+        a = c / np.exp(r * (t - u[4] + 1))
+        best = a.argmin(axis=0)
+        x = a[best, j[0]]
+        better = x < h
+        h[better] = x[better]
+        ids[better] = np_hash(salt, e[best[better], 0], t[best[better], j[0][better]].astype(np.int64)).view(np.int64)
+    return ids, h
+
+
 #: Dyadic intervals under a weight's own that np_cws looks at; what lies lower has a share of 2**-40 of the weight.
 LOWER = 40
 

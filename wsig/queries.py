@@ -640,20 +640,29 @@ def contamination(spark, d):
     return common.withColumn("share", F.col("c") / F.col("n")).where("share >= 0.8").select("item_id", "doc_id", _r("share").alias("share"))
 
 
-@query()
+@query(ORACLES["contamination"])
 def containment_sketch(spark, d):
-    """Benchmark items whose shingles a document holds to 80 %, found by signatures of documents padded to the next power of two."""
+    """Benchmark items whose shingles a document holds to 80 %, found by signatures of the document's overlapping blocks.
+
+    Blocks are twice as long as the longest item, at steps of its length, so a passage lies whole in one of them and its
+    similarity to the block doesn't fall with the document's length.
+    """
     items = lsh.settle(B.bag_from_text(B.load(spark, d, "benchmark"), "item_id", "text", "shingle", 5, "binary"))
-    docs = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
-    m, ladder = 128, IntegerLadder(1 << 20)
-    left = poisson.assemble(lp_kernel.sig_lp_arrow(items, m, ladder), m)
-    right = poisson.assemble(lp_kernel.sig_lp_arrow(lsh.asymmetric_pad(docs, F.pow(F.lit(2.0), F.ceil(F.log2("total")))), m, ladder), m)
-    pairs = lsh.two_table_join(left, right, m, 1)
-    asked = pairs.join(items.select(F.col("bag_id").alias("a"), "elem"), "a")
-    held = asked.join(docs.select(F.col("bag_id").alias("b"), "elem"), ["b", "elem"]).groupBy("a", "b").agg(F.count("*").alias("c"))
-    n = items.groupBy(F.col("bag_id").alias("a")).agg(F.count("*").alias("n"))
-    rows = held.join(n, "a").withColumn("share", F.col("c") / F.col("n")).where("share >= 0.8")
-    return rows.select(F.col("a").alias("item_id"), F.col("b").alias("doc_id"), _r("share").alias("share"))
+    step = items.groupBy("bag_id").count().agg(F.max("count")).first()[0] or 1  # one number
+    docs = B.load(spark, d, "documents", ["doc_id", "text"]).where("text is not null")
+    places = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(B.shingles(B.words(F.col("text")), 5)).alias("at", "term")).withColumn("elem", F.xxhash64("term"))
+    block = F.floor(F.col("at") / F.lit(step))
+    rows = places.select("doc_id", "elem", F.explode(F.array(block, block - 1)).alias("block")).where("block >= 0")
+    rows = lsh.settle(rows.select("doc_id", F.xxhash64("doc_id", "block").alias("bag_id"), "elem").distinct())
+    m, ladder = 128, BinaryLadder()
+    sign = lambda bags: poisson.assemble(lp_kernel.sig_lp_arrow(bags.select("bag_id", "elem", F.lit(1.0).alias("weight")), m, ladder), m)
+    pairs = lsh.two_table_join(sign(items), sign(rows), m, 1)
+    pairs = lsh.settle(pairs.join(rows.select(F.col("bag_id").alias("b"), "doc_id").distinct(), "b").select(F.col("a").alias("item_id"), "doc_id").distinct())
+    asked = pairs.join(items.select(F.col("bag_id").alias("item_id"), "elem"), "item_id")
+    held = asked.join(rows.select("doc_id", "elem").distinct(), ["doc_id", "elem"]).groupBy("item_id", "doc_id").agg(F.count("*").alias("c"))
+    n = items.groupBy(F.col("bag_id").alias("item_id")).agg(F.count("*").alias("n"))
+    rows = held.join(n, "item_id").withColumn("share", F.col("c") / F.col("n")).where("share >= 0.8")
+    return rows.select("item_id", "doc_id", _r("share").alias("share"))
 
 
 _USER = "SELECT user_id AS bag_id, event_type AS elem, round(sum(value), 2) AS weight FROM events GROUP BY ALL"

@@ -65,7 +65,7 @@ def error_grid(spark, d):
 @query()
 def error_grid_large(spark, d):
     """Sizes 1024 and 4096 on the cases of few elements."""
-    return verify.error_grid(spark, [1024, 4096], 0.04, verify.GRID[:1])
+    return verify.error_grid(spark, [1024, 4096], 0.1, verify.GRID[:1])
 
 
 @query()
