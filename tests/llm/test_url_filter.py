@@ -43,10 +43,10 @@ def test_cascade_is_exact_over_its_universe(spark):
     assert universe.where(cascade.holds(F.col("key")) != F.col("listed")).count() == 0
 
 
-def test_join_beyond_the_size_bound_and_empty(spark, monkeypatch):
+def test_parts_beyond_the_size_bound_and_empty(spark, monkeypatch):
     keys = spark.createDataFrame([("evil.org",)], "key string")
     first = sorted(map(str, U.url_filter(spark.createDataFrame(rows(), SCHEMA), keys).collect()))
-    monkeypatch.setattr(U, "MOST_BITS", 1)
+    monkeypatch.setattr(U, "MOST_BITS", 40)  # four parts
     assert sorted(map(str, U.url_filter(spark.createDataFrame(rows(), SCHEMA), keys).select("page_id", "host", "path", "listed", "rule", "verdict").collect())) == first
     assert U.url_filter(spark.createDataFrame([], SCHEMA), keys).count() == 0
     assert U.url_filter(spark.createDataFrame(rows(), SCHEMA), keys.limit(0)).where("listed").count() == 0

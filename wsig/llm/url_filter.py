@@ -4,7 +4,8 @@ Keys are the hosts of all pages and all their parent domains. Level 1 holds the
 the universe that level 1 takes for listed; level 3 the listed keys that level 2 takes for unlisted, and so on until a
 level has no false positive. For a key of the universe the first level that doesn't hold it decides, so membership is
 exact, and pages are judged by an expression over literal bit arrays, with no join. The arrays' size follows the listed
-keys that occur, not the pages; above ``MOST_BITS`` a semi-join on the keys takes their place.
+keys that occur, not the pages. Where they would be over ``MOST_BITS``, keys are dealt to parts by hash, each with a cascade of its
+own, and the pages are judged part after part, so that no plan carries more.
 
 Rules (host, path, verdict) come first: a rule fits its host and all subdomains if the url's path starts with the rule's
 path, and the longest host and path wins. Null urls and urls without ``://`` have an empty host and path, which no rule
@@ -24,7 +25,7 @@ from wsig.llm import shared
 RULES = (("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block"))
 #: Domains that the query blocks, with their subdomains, where no rule fits.
 LISTED = tuple(f"{name}.example.{end}" for name in ("adult-x", "ads-track", "casino-win", "cheap-pills", "free-bets", "spam-farm") for end in ("com", "net", "org"))
-#: Bits of all levels together that may be sent with a plan (16 MB).
+#: Bits of all levels together that are sent with a plan (16 MB).
 MOST_BITS = 1 << 27
 
 
@@ -87,24 +88,35 @@ class Cascade:
         return out
 
 
-def build_cascade(universe: DataFrame) -> Cascade | None:
-    """Over (key, listed), keys distinct; None if it would hold more than MOST_BITS."""
+def first_rate(n_in: int, n_out: int) -> float:
+    """The first level's rate of false positives, at which the levels together are small."""
+    return min(0.5, math.sqrt(0.5) * n_in / max(1, n_out)) if n_in else 0.5
+
+
+def build_cascade(universe: DataFrame) -> Cascade:
+    """Over (key, listed), keys distinct."""
     counts = {r["listed"]: r["count"] for r in universe.groupBy("listed").count().collect()}
     inside, outside = universe.where("listed").select("key"), universe.where("not listed").select("key")
     n_in, n_out = counts.get(True, 0), counts.get(False, 0)
     levels: list[Level] = []
-    rate = min(0.5, math.sqrt(0.5) * n_in / max(1, n_out)) if n_in else 0.5
+    rate = first_rate(n_in, n_out)
     while n_in:
         level = Level(len(levels) + 1, n_in, rate)
-        if level.bits + sum(x.bits for x in levels) > MOST_BITS:
-            return None
         level.fill(inside)
         levels.append(level)
-        inside, outside = outside.where(level.holds(F.col("key"))), inside
+        taken, _ = shared.settle(outside.where(level.holds(F.col("key"))), "url-level")
+        inside, outside = taken, inside
         n_in, rate = inside.count(), 0.5
     return Cascade(levels)
 
 
+def parts_of(universe: DataFrame) -> int:
+    """How many cascades keep each under MOST_BITS, the later levels taken as large as the first and a half."""
+    counts = {r["listed"]: r["count"] for r in universe.groupBy("listed").count().collect()}
+    n_in, n_out = counts.get(True, 0), counts.get(False, 0)
+    return max(1, math.ceil(2.5 * Level(1, n_in, first_rate(n_in, n_out)).bits / MOST_BITS))
+
+
 def _rule(host: Column, path: Column, rules) -> tuple[Column, Column]:
     name, verdict = F.lit(None).cast("string"), F.lit(None).cast("string")
     for h, p, v in sorted(rules, key=lambda r: len(r[0]) + len(r[1])):
@@ -119,16 +131,19 @@ def url_filter(pages: DataFrame, listed: DataFrame, rules=RULES) -> DataFrame:
     rows = pages.select("page_id", host.alias("host"), path.alias("path"))
     hosts = rows.where("host <> ''").select("host").distinct()
     keys = hosts.select(F.explode(with_parents(F.col("host"))).alias("key")).distinct()
-    marks = listed.where("key is not null").select(F.lower("key").alias("key")).distinct().withColumn("mark", F.lit(True))
+    low = F.translate("key", string.ascii_uppercase, string.ascii_lowercase)
+    marks = listed.where("key is not null").select(low.alias("key")).distinct().withColumn("mark", F.lit(True))
     universe, _ = shared.settle(keys.join(marks, "key", "left").select("key", F.coalesce("mark", F.lit(False)).alias("listed")), "url-keys")
-    cascade = build_cascade(universe)
-    if cascade is None:
-        bad = universe.where("listed").select("key")
-        hit = hosts.select("host", F.explode(with_parents(F.col("host"))).alias("key")).join(bad, "key", "left_semi").select("host").distinct().withColumn("listed", F.lit(True))
-        rows = rows.join(hit, "host", "left").withColumn("listed", F.coalesce("listed", F.lit(False)))
-    elif not cascade.levels:
-        rows = rows.withColumn("listed", F.lit(False))
-    else:
-        rows = rows.withColumn("listed", (F.col("host") != "") & F.exists(with_parents(F.col("host")), cascade.holds))
+    parts = parts_of(universe)
+    rows = rows.withColumn("listed", F.lit(False))
+    for i in range(parts):
+        mine = lambda key: F.pmod(F.xxhash64(key, F.lit(77)), F.lit(parts)) == i  # noqa: E731, B023
+        cascade = build_cascade(universe.where(mine(F.col("key"))) if parts > 1 else universe)
+        if not cascade.levels:
+            continue
+        held = (lambda key: mine(key) & cascade.holds(key)) if parts > 1 else cascade.holds  # noqa: B023
+        rows = rows.withColumn("listed", F.col("listed") | ((F.col("host") != "") & F.exists(with_parents(F.col("host")), held)))
+        if parts > 1:
+            rows, _ = shared.settle(rows, "url-part")
     rule, verdict = _rule(F.col("host"), F.col("path"), rules)
     return rows.select("page_id", "host", "path", "listed", rule.alias("rule"), F.coalesce(verdict, F.when(F.col("listed"), "block").otherwise("allow")).alias("verdict"))
