@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -15,7 +17,7 @@ BLOCK = 256
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; a temporary one of our own only where there is one machine."""
+    """The cluster's checkpoint folder, as a full URI; a temporary one of our own only where there is one machine."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
@@ -23,8 +25,11 @@ def shared_dir(spark: SparkSession) -> str:
         made = getattr(shared_dir, "made", None)
         if made is None:
             made = shared_dir.made = tempfile.mkdtemp(prefix="wsig-")
+            atexit.register(shutil.rmtree, made, ignore_errors=True)
         return f"file://{made}"
-    return "wsig-scratch"
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    at = jvm.org.apache.hadoop.fs.Path("wsig-scratch")
+    return at.getFileSystem(conf).makeQualified(at).toString()
 
 
 def settle(df: DataFrame) -> DataFrame:
