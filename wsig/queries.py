@@ -592,11 +592,18 @@ def band_candidates(spark, d):
     return lsh.candidate_pairs(lsh.band_keys(sigs, bands, rows))
 
 
-@query()
+_SETS = """w AS (SELECT doc_id, regexp_extract_all(lower(text), '[a-z0-9]+') AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, unnest(list_transform(generate_series(1, greatest(len(w) - 4, 1)), lambda i: array_to_string(w[i:i + 4], ' '))) AS t FROM w WHERE len(w) > 0),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+c AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM s x JOIN s y ON x.t = y.t AND x.doc_id < y.doc_id GROUP BY 1, 2),
+p AS (SELECT a, b, c / (x.n + y.n - c) AS j FROM c JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE c >= 0.8 * (x.n + y.n - c))"""
+
+
+@query(f"WITH {_SETS} SELECT a, b, round(j, 9) AS j FROM p")
 def near_copies(spark, d):
     """Pairs of documents whose 5-word shingle sets have similarity 0.8 or more."""
     bags = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
-    return lsh.similarity_join(bags, _doc_sigs(bags, ladder=BinaryLadder()), 64, 0.8)
+    return lsh.similarity_join(bags, _doc_sigs(bags, ladder=BinaryLadder()), 64, 0.8).select("a", "b", _r("j").alias("j"))
 
 
 @query()
@@ -609,7 +616,8 @@ def near_copies_quality(spark, d):
     return lsh.pair_quality(lsh.class_pairs(bags, lsh.settle(_doc_sigs(bags)), classes, 64, 0.9, verify=False).select("a", "b"), truth)
 
 
-@query()
+@query(f"""WITH RECURSIVE {_SETS}, e AS (SELECT a, b FROM p UNION ALL SELECT b, a FROM p),
+r(node, root) AS (SELECT doc_id, doc_id FROM n UNION SELECT e.b, r.root FROM r JOIN e ON e.a = r.node) SELECT node, min(root) AS cluster FROM r GROUP BY 1""")
 def document_clusters(spark, d):
     bags = lsh.settle(_doc_words(spark, d, "shingle", "binary"))
     pairs = lsh.similarity_links(bags, _doc_sigs(bags, ladder=BinaryLadder()), 64, 0.8)
