@@ -330,6 +330,12 @@ def ordered_elements(pdf: pd.DataFrame, order: str, salt: int = 0) -> list[tuple
     return list(zip(pdf["elem"].tolist(), pdf["weight"].tolist(), strict=True))
 
 
+def _dealt(bags: DataFrame) -> DataFrame:
+    """Bags over the session's partitions: they are small in bytes and long in work, so they must not be put together."""
+    n = int(bags.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return bags.select("bag_id", "elem", "weight").repartition(n, "bag_id")
+
+
 _COST = "bag_id long, n long, n_points long, n_splits long, n_words long, n_tree_updates long, peak_nodes long"
 
 
@@ -341,7 +347,7 @@ def lp_costs(bags: DataFrame, m: int, ladder: Ladder, variant: str = "two_phase"
         sig = run(ordered_elements(pdf, order), m, ladder, **flags)
         return pd.DataFrame([{"bag_id": pdf["bag_id"].iloc[0], "n": len(pdf)} | sig.work.as_dict(sig.tracker)])
 
-    return bags.select("bag_id", "elem", "weight").groupBy("bag_id").applyInPandas(group, _COST)
+    return _dealt(bags).groupBy("bag_id").applyInPandas(group, _COST)
 
 
 def sig_lp_heap(bags: DataFrame, m: int, ladder: Ladder, variant: str = "two_phase", order: str = "random", salt: int = 0, **flags) -> DataFrame:
@@ -353,4 +359,4 @@ def sig_lp_heap(bags: DataFrame, m: int, ladder: Ladder, variant: str = "two_pha
         rows = [(pdf["bag_id"].iloc[0], j, int(np_hash(salt, *i).view(np.int64)), h) for j, (i, h) in enumerate(zip(sig.ids, sig.minima, strict=True)) if i is not None]
         return pd.DataFrame(rows, columns=["bag_id", "j", "id", "h"])
 
-    return bags.select("bag_id", "elem", "weight").groupBy("bag_id").applyInPandas(group, "bag_id long, j int, id long, h double")
+    return _dealt(bags).groupBy("bag_id").applyInPandas(group, "bag_id long, j int, id long, h double")

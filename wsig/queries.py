@@ -407,9 +407,13 @@ def sig_oph_densified(spark, d):
     return _sig(baselines.sig_oph(B.order_part_set(spark, d), 8, _md5(), "rotation"))
 
 
-@query()
+@query(f"""WITH bins AS ({_BINS}), ids AS (SELECT DISTINCT bag_id FROM bins), slots AS (SELECT bag_id, unnest(generate_series(0, 7)) AS j FROM ids),
+probes AS (SELECT j, k, {_int(sql_u01('j', 'k', str(U3)), 8)} AS t FROM (SELECT unnest(generate_series(0, 7)) AS j), (SELECT unnest(generate_series(1, 128)) AS k))
+SELECT bag_id, j, id, h FROM bins UNION ALL
+SELECT s.bag_id, s.j, arg_min(b.id, p.k) AS id, arg_min(b.h, p.k) AS h FROM slots s LEFT JOIN bins x ON x.bag_id = s.bag_id AND x.j = s.j JOIN probes p ON p.j = s.j JOIN bins b ON b.bag_id = s.bag_id AND b.j = p.t
+WHERE x.j IS NULL GROUP BY 1, 2""")
 def sig_oph_densified_random(spark, d):
-    return _sig(baselines.sig_oph(B.order_part_set(spark, d), 8, Prng(), "random"))
+    return _sig(baselines.sig_oph(B.order_part_set(spark, d), 8, _md5(), "random"))
 
 
 _ICWS = {"r": _g(U1, U2), "c": _g(U3, U4), "b": _u(U5), "t": "CAST(floor(ln(weight) / r + b) AS BIGINT)"}

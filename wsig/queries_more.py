@@ -81,12 +81,12 @@ def one_permutation_bias(spark, d):
 
 @query()
 def cost_by_size(spark, d):
-    return verify.cost_by_size(spark, [1, 10, 100, 1000], [16, 64])
+    return verify.cost_by_size(spark, [1, 10, 100, 500], [16, 64], 2)
 
 
 @query()
 def cost_extrapolated(spark, d):
-    return verify.extrapolated(verify.cost_by_size(spark, [100, 300, 1000], [16], 2), 100, [10_000, 1_000_000, 10_000_000])
+    return verify.extrapolated(verify.cost_by_size(spark, [100, 200, 400], [16], 2), 100, [10_000, 1_000_000, 10_000_000])
 
 
 @query()
