@@ -56,18 +56,6 @@ def candidate_quality(spark, d):
 # --- verification and work ---------------------------------------------------------------------------------------------
 
 
-@query()
-def error_grid(spark, d):
-    """All nine cases and seven algorithms at size 64, 100 pairs a case or fewer; verify.error_grid takes any sizes and pairs."""
-    return verify.error_grid(spark, [64], 0.34)
-
-
-@query()
-def error_grid_large(spark, d):
-    """Size 1024 on the cases of few elements, six pairs each."""
-    return verify.error_grid(spark, [1024], 0.02, verify.GRID[:1])
-
-
 @query()
 def component_correlation(spark, d):
     return verify.component_correlation(spark, "V8", 64, 200)
