@@ -9,6 +9,7 @@ from wsig.plans import verify
 SF = "/root/testdata/sf0.001"
 FROM_TABLES = [
     "case_exact_jaccard",
+    "expected_cost_formulas",
 ]
 
 
