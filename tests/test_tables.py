@@ -10,6 +10,7 @@ SF = "/root/testdata/sf0.001"
 FROM_TABLES = [
     "case_exact_jaccard",
     "expected_cost_formulas",
+    "expected_error_rollup",
 ]
 
 
