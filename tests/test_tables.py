@@ -11,6 +11,7 @@ FROM_TABLES = [
     "case_exact_jaccard",
     "expected_cost_formulas",
     "expected_error_rollup",
+    "halving_rounds",
 ]
 
 
