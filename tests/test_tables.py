@@ -12,6 +12,7 @@ FROM_TABLES = [
     "expected_cost_formulas",
     "expected_error_rollup",
     "halving_rounds",
+    "rounding_negligible",
 ]
 
 
