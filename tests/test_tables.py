@@ -13,6 +13,7 @@ FROM_TABLES = [
     "expected_error_rollup",
     "halving_rounds",
     "rounding_negligible",
+    "variance_formulas",
 ]
 
 
