@@ -104,3 +104,17 @@ def test_empty_and_wordless(spark):
     assert mixing.mix_sources(spark.createDataFrame([], SCHEMA)).count() == 0
     got = mixing.mix_sources(spark.createDataFrame([(1, None, None, None), (2, " ", "a", None)], SCHEMA)).collect()
     assert [(r.size, r.target, r.taken) for r in got] == [(0, 0.0, 0), (0, 0.0, 0)]
+
+
+def test_query_is_read_off_the_training_order(spark, tmp_path, monkeypatch):
+    from wsig.llm import queries, shared
+
+    tags, settle = [], shared.settle
+    monkeypatch.setattr(shared, "settle", lambda df, tag: tags.append(tag) or settle(df, tag))
+    docs = spark.createDataFrame([*table(), (9, None, "b", None), (9, None, "b", None)], SCHEMA)
+    docs.write.parquet(str(tmp_path / "documents.parquet"))
+    got = queries.op5_mixing(spark, str(tmp_path)).collect()
+    assert "training-order" in tags
+    key = lambda r: str((r.doc_id, r.source, r.size, r.source_size, r.target, r.taken, r.copies, r.position))
+    assert sorted(map(key, got)) == sorted(map(key, mixing.mix_sources(docs).collect()))
+    assert all(r.position <= r.last_position <= 1 for r in got if r.taken) and any(r.position < r.last_position for r in got if r.taken)

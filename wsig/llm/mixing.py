@@ -166,6 +166,24 @@ def _when(schedules, copy: Column) -> Column:
     return F.coalesce(*[F.when(kind == i, position(s, u)) for i, s in enumerate(schedules)])
 
 
+def curriculum(docs: DataFrame, weights=WEIGHTS, most: int = MOST, schedules=SCHEDULES, seed: int = 11) -> DataFrame:
+    """doc_id, source, size, source_size, target, taken, copies, position and last_position of each row, read off the training order.
+
+    Every copy is put at its time on its source's demand curve and the copies of all sources are range-sorted; what a
+    row's copies in that order hold is what the mix takes of it. Rows without words, or of which no copy is taken, have no place in it.
+    """
+    mix, _ = shared.settle(mix_sources(docs, weights, most, schedules, seed), "mix")
+    own = ["doc_id", "source", "k1", "k2", "size", "source_size", "target", "middle"]
+    held = (F.col("size") > 0) & (F.col("copies") > 0)
+    each = mix.where(held).withColumn("copy", F.explode(F.sequence(F.lit(0), (F.col("copies") - 1).cast("int"))))
+    each = each.select(*own, "copy", _when(schedules, F.col("copy")).alias("at"))
+    order, _ = shared.settle(each.repartitionByRange("at", "k1", "k2", "copy").sortWithinPartitions("at", "k1", "k2", "copy"), "training-order")
+    # words come before a row's middle, so no two rows of one source with words share it
+    taken = order.groupBy(*own).agg(F.sum("size").alias("taken"), F.count("*").alias("copies"), F.min("at").alias("position"), F.max("at").alias("last_position"))
+    none = mix.where(~held).select(*own, F.lit(0).cast("long").alias("taken"), "copies", "position", F.lit(None).cast("double").alias("last_position"))
+    return taken.unionByName(none).select("doc_id", "source", "size", "source_size", "target", "taken", "copies", "position", "last_position")
+
+
 def copy_positions(mix: DataFrame, schedules=SCHEDULES) -> DataFrame:
     """A row for each copy taken, range-sorted by training position: doc_id, text_key, source, copy, position."""
     each = mix.where("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), (F.col("copies") - 1).cast("int"))))
