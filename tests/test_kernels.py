@@ -1,6 +1,7 @@
 """Kernels on batches of many bags against the same on one bag at a time."""
 
 import numpy as np
+from pyspark.sql import functions as F
 
 from wsig.functions.prng import U1, U2, np_u01
 from wsig.operators import baselines
@@ -53,3 +54,12 @@ def test_whole_bags_across_batches(spark):
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
     ids, h = _kernels(6)["cws"](bag, elem, weight, len(bags))
     assert got == {(k, j): (ids[k, j], h[k, j]) for k in bags for j in range(6)}
+
+
+def test_points_on_the_line_are_not_broadcast(spark):
+    line = baselines.universe_line(spark.range(1000).select(F.col("id").alias("elem"), (F.col("id") % 5 + 1.0).alias("bound")))
+    points = spark.range(2000).select((F.col("id") % 8).cast("int").alias("j"), F.col("id").cast("int").alias("k"), (F.col("id") * 1.5).alias("at"))
+    placed = baselines.place_on_line(points, line, 3000.0, 1000)
+    assert "SortMergeJoin [cell" in placed._jdf.queryExecution().executedPlan().toString()
+    got, want = placed.collect(), {r.elem: (r.start, r.end) for r in line.collect()}
+    assert len(got) == 2000 and all(want[r.elem][0] <= r.k * 1.5 < want[r.elem][1] for r in got)
