@@ -6,6 +6,8 @@ All but the last return the columns of ``documents``.
 
 from __future__ import annotations
 
+import functools
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -45,7 +47,19 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return piece_codec.encode_pieces(docs, public_tokenizers.path("piece_bpe_32k.model"))
 
 
-STAGES = [("quality rules", drop_low_quality), ("near duplicates", drop_near_duplicates), ("personal data", mask_personal_data), ("mixing", mix), ("token pieces", encode)]
+def _bounded(stage):
+    """A stage with small Arrow batches, as two tasks' batches and workers share an executor with the JVM's heap."""
+
+    @functools.wraps(stage)
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        shared.small_batches(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run_stage
+
+
+_STAGES = [("quality rules", drop_low_quality), ("near duplicates", drop_near_duplicates), ("personal data", mask_personal_data), ("mixing", mix), ("token pieces", encode)]
+STAGES = [(name, _bounded(stage)) for name, stage in _STAGES]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -91,3 +91,34 @@ def test_allocation_is_the_cheapest():
     best = min(sum(c[t] if t >= 0 else 0 for c, t in zip(costs, ts)) for ts in product(range(-1, 3), repeat=4) if sum(t + 1 for t in ts) == 5)
     total, thresholds = simhash.allocate(costs, 4)
     assert abs(total - best) < 1e-12 and sum(t + 1 for t in thresholds) == 5
+
+
+def test_planning_sends_the_driver_a_row_a_part(spark, monkeypatch):
+    """The corpus's histograms stay with the executors, and no table of a join passes through the driver."""
+    rng = np.random.default_rng(3)
+    fps = np.unique(rng.integers(-(2**62), 2**62, 3000))
+    nodes = spark.createDataFrame([(int(x),) for x in fps], "fp long")
+    parts = [list(range(i, i + 8)) for i in range(0, 64, 8)]
+    want = []
+    for part in parts:
+        value = sum(((fps.view(np.uint64) >> np.uint64(b)) & np.uint64(1)).astype(int) << i for i, b in enumerate(part))
+        want.append(simhash.candidate_counts(np.bincount(value, minlength=256), 1))
+    assert simhash.expected_pairs(nodes, parts, 1) == want
+    plan = simhash.simhash_groups(spark.createDataFrame(corpus()[:50], SCHEMA))._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastExchange" not in plan
+
+
+def test_freed_memory_goes_back_after_a_task():
+    """A worker that is kept doesn't hold on to the batches of its last task."""
+    import pyarrow as pa
+
+    from wsig.llm import textscan
+
+    calls = []
+    kept, textscan.give_back = textscan.give_back, lambda: calls.append(1)
+    try:
+        batch = pa.RecordBatch.from_pydict({"text": ["a b", None, "c"]})
+        assert sum(b.num_rows for b in textscan.steps(iter([batch]), size=2)) == 3
+    finally:
+        textscan.give_back = kept
+    assert calls == [1]

@@ -18,7 +18,7 @@ def _with_least(edges: DataFrame, own: bool) -> DataFrame:
     least = edges.groupBy("a").agg(F.min("b").alias("m"))
     if own:
         least = least.select("a", F.least("a", "m").alias("m"))
-    return edges.join(least, "a")
+    return edges.join(least.hint("merge"), "a")  # a broadcast would pass through the driver's memory
 
 
 def components(edges: DataFrame) -> DataFrame:

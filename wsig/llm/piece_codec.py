@@ -28,7 +28,7 @@ from wsig.llm.textscan import as_bytes, mix, run_hash, run_sums, steps
 
 WIDE, ALPHA, SEED = 48, 0.1, 17
 #: Bytes of text of a step, chunks merged at a time and characters of one matrix: bounds of a worker's memory.
-STEP, TOGETHER, CELLS = 2 << 20, 1 << 14, 1 << 19
+STEP, TOGETHER, CELLS = 1 << 20, 1 << 14, 1 << 19
 MARK = "▁"
 _NONE = np.int32(1 << 30)
 _SHIFT = 21  # bits of a symbol: pieces and all other characters

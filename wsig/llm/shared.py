@@ -74,3 +74,19 @@ def free(columns: list[str], *names: str) -> list[str]:
 def slots(spark: SparkSession) -> int:
     """Shuffle partitions of the session, for repartitions that must not fall to one task."""
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+
+
+#: Arrow batches between the JVM and Python: no more rows, and about so many bytes.
+BATCH_ROWS, BATCH_BYTES = 1000, 4 << 20
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's Arrow batch sizes to ours where they are larger: a batch lies in the executor's direct memory and in its Python worker at once."""
+    for name, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        key = f"spark.sql.execution.arrow.{name}"
+        have = spark.conf.get(key, None)
+        if have is None:
+            continue
+        size = int(have) if have.lstrip("-").isdigit() else None  # as a number of bytes with a unit: set by someone, left alone
+        if size is not None and (size <= 0 or size > most):
+            spark.conf.set(key, str(most))

@@ -118,8 +118,8 @@ def signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def histograms(nodes: DataFrame, parts: list[list[int]]) -> list[np.ndarray]:
-    """Counts of each part's values over all nodes; a part has at most 16 bits, so this is bounded."""
+def part_values(nodes: DataFrame, parts: list[list[int]]) -> DataFrame:
+    """(part, value, n): counts of each part's values over all nodes; a part has at most 16 bits, so its values are bounded."""
 
     def run(batches):
         sums = [np.zeros(1 << len(x), np.int64) for x in parts]
@@ -131,12 +131,22 @@ def histograms(nodes: DataFrame, parts: list[list[int]]) -> list[np.ndarray]:
             v = np.flatnonzero(s)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(v), i)), pa.array(v), pa.array(s[v])], ["part", "value", "n"])
 
-    rows = nodes.select("fp").mapInArrow(run, "part long, value long, n long").groupBy("part", "value").agg(F.sum("n").alias("n")).toArrow()
-    part, value, n = (rows.column(c).to_numpy() for c in ("part", "value", "n"))
-    out = [np.zeros(1 << len(x), np.int64) for x in parts]
-    for i, h in enumerate(out):
-        h[value[part == i]] = n[part == i]
-    return out
+    return nodes.select("fp").mapInArrow(run, "part long, value long, n long").groupBy("part", "value").agg(F.sum("n").alias("n"))
+
+
+def expected_pairs(nodes: DataFrame, parts: list[list[int]], most: int) -> list[list[float]]:
+    """``candidate_counts`` of each part. The executors make them, so the driver gets a row a part and no histogram."""
+    widths = [len(x) for x in parts]
+
+    def count(table: pa.Table) -> pa.Table:
+        part = table.column("part")[0].as_py()
+        hist = np.zeros(1 << widths[part], np.int64)
+        hist[table.column("value").to_numpy()] = table.column("n").to_numpy()
+        return pa.table({"part": pa.array([part], pa.int64()), "pairs": pa.array([candidate_counts(hist, most)], pa.list_(pa.float64()))})
+
+    rows = part_values(nodes, parts).groupBy("part").applyInArrow(count, "part long, pairs array<double>").collect()  # a row a part
+    found = {r["part"]: r["pairs"] for r in rows}
+    return [found.get(i, [0.0] * (most + 1)) for i in range(len(parts))]
 
 
 def candidate_counts(hist: np.ndarray, most: int) -> list[float]:
@@ -171,11 +181,11 @@ def plan(nodes: DataFrame, tau: int) -> list[int]:
     n, both = bit_statistics(nodes)
     choices = []
     tried = [group_bits(n, both, m) for m in PARTS if m <= tau + 2]
-    counts = iter(histograms(nodes, [x for parts in tried for x in parts]))
+    counts = iter(expected_pairs(nodes, [x for parts in tried for x in parts], 1))
     for parts in tried:
         costs = []
         for x in parts:
-            pairs = candidate_counts(next(counts), 1)
+            pairs = next(counts)
             probes = (1, len(x))
             costs.append([pairs[t] + PROBE_COST * n * probes[t] for t in range(2)])
         total, thresholds = allocate(costs, tau)
@@ -268,8 +278,13 @@ def _tiles(keyed: DataFrame, tau: int) -> DataFrame:
     return _in_buckets(dealt.select("fp", F.xxhash64("key", F.least("own", "other"), F.greatest("own", "other")).alias("key")), tau)
 
 
+def _dealt(df: DataFrame) -> DataFrame:
+    """A side of a join that is dealt to tasks however small it is: a broadcast would pass through the driver's memory."""
+    return df.hint("merge")
+
+
 def _sized(keyed: DataFrame) -> DataFrame:
-    return keyed.join(keyed.groupBy("key").agg(F.count("*").alias("bucket_rows")), "key")
+    return keyed.join(_dealt(keyed.groupBy("key").agg(F.count("*").alias("bucket_rows"))), "key")
 
 
 def links(nodes: DataFrame, tau: int = TAU) -> DataFrame:
@@ -291,10 +306,10 @@ def simhash_groups(docs: DataFrame, tau: int = TAU, shingle: int = SHINGLE) -> D
     rows, _ = shared.settle(fingerprints(docs, shingle), "fingerprints")
     nodes, _ = shared.settle(rows.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "nodes")
     roots = components(links(nodes, tau)).select(F.col("node").alias("fp"), "root")
-    rooted = nodes.join(roots, "fp", "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
+    rooted = nodes.join(_dealt(roots), "fp", "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    named = rooted.join(least, "root").select("fp", "component_id")
-    return rows.join(named, "fp").select("doc_id", "fp", "component_id")
+    named = rooted.join(_dealt(least), "root").select("fp", "component_id")
+    return rows.join(_dealt(named), "fp").select("doc_id", "fp", "component_id")
 
 
 def near_dedup(docs: DataFrame, tau: int = TAU, shingle: int = SHINGLE) -> DataFrame:
@@ -308,7 +323,7 @@ def near_dedup(docs: DataFrame, tau: int = TAU, shingle: int = SHINGLE) -> DataF
     groups = simhash_groups(docs, tau, shingle)
     alone = groups.where(F.col("component_id").isNull()).select("fp").distinct()
     chosen = groups.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias(own_id)).distinct()
-    with_id = docs.join(chosen, F.col("doc_id").cast("long") == F.col(own_id), "left_semi")
+    with_id = docs.join(_dealt(chosen), F.col("doc_id").cast("long") == F.col(own_id), "left_semi")
     order = Window.partitionBy("doc_id").orderBy(*[F.xxhash64(f"`{c}`") for c in ("text", *named)])
     kept = with_id.withColumn(nth, F.row_number().over(order)).where(F.col(nth) == 1).drop(nth)
     return kept.unionByName(_without_id(docs, alone, shingle))
@@ -327,5 +342,5 @@ def _without_id(docs: DataFrame, alone: DataFrame, shingle: int) -> DataFrame:
             yield batch.append_column(fp, pa.array(fps.view(np.int64)))
 
     schema = T.StructType([*docs.schema.fields, T.StructField(fp, T.LongType())])
-    marked = none.mapInArrow(run, schema).join(alone.withColumnRenamed("fp", own_fp), F.col(fp) == F.col(own_fp), "left_semi")
+    marked = none.mapInArrow(run, schema).join(_dealt(alone.withColumnRenamed("fp", own_fp)), F.col(fp) == F.col(own_fp), "left_semi")
     return marked.groupBy(fp).agg(F.min_by(F.struct(*[f"`{c}`" for c in named]), F.struct(*[F.xxhash64(f"`{c}`") for c in named])).alias(own_fp)).select(f"{own_fp}.*")
