@@ -66,6 +66,26 @@ def test_anchors_of_many_classes_are_dealt_by_windows(spark, monkeypatch):
     check(spark, corpus(4, 4000), 50, 8)
 
 
+def test_windows_of_a_large_anchor_stay_in_runs(spark, monkeypatch):
+    """What too many runs share goes on in runs of longer anchors, not in a row for each window."""
+    rng = np.random.default_rng(6)
+    word = lambda k: [f"w{x}" for x in rng.integers(0, 10**6, k)]
+    passage = word(20)
+    rows = [(i, " ".join(word(60) + passage + (passage if i % 9 == 0 else []) + word(60)), "", "") for i in range(40)]
+    rows.append((99, " ".join(rows[3][1].split()[10:110]), "", ""))
+    settle, made = S.shared.settle, {}
+
+    def kept(df, tag):
+        out = settle(df, tag)
+        made.setdefault(tag, []).append(out[0].count() if tag != "open-runs" else out[0].selectExpr("sum(n)").first()[0])
+        return out
+
+    monkeypatch.setattr(S.shared, "settle", kept)
+    monkeypatch.setattr(S, "GROUP", 4)
+    check(spark, rows, 50, 8)
+    assert 0 < 5 * made["longer-runs"][0] < made["open-runs"][0]
+
+
 def test_stretches():
     anchor, doc, n = np.array([5, 5, 5, 6]), np.array([2, 1, 3, 9]), np.array([3, 2, 4, 2])
     w = np.array([10, 11, 12, 11, 12, 7, 10, 11, 8, 10, 11])
